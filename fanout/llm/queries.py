@@ -5,11 +5,21 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import exact_dedup, sharding, token_counts
+from . import chat_format, exact_dedup, line_dedup, sharding, token_counts
 from .common import table
 
 
+def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat_format.preference_pairs(chat_format.adjacent_pairs(table(spark, sf_dir, "conversations")))
+
+
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = line_dedup.dedup_lines(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", F.col("_n_lines").alias("n_lines"), F.col("_n_removed").alias("n_removed"), "text")
+
+
 def op7_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"))
 
@@ -25,10 +35,54 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op7_exact_dedup, op8_sharding, op9_token_counts)
+    f.__name__: f for f in (op3_chat_formatting, op4_line_dedup, op7_exact_dedup, op8_sharding, op9_token_counts)
 }
 
 ORACLE_SQL: dict[str, str] = {
+    "op3_chat_formatting": r"""
+        WITH t AS (
+            SELECT conv_id // 2 AS pair_id, conv_id % 2 AS side, turn, coalesce(role, '') AS role,
+                   replace(replace(coalesce(text, ''), '<|im_start|>', '<| im_start |>'), '<|im_end|>', '<| im_end |>') AS text
+            FROM conversations
+        ), r AS (
+            SELECT *, row_number() OVER (PARTITION BY pair_id, side ORDER BY turn, role, text) AS k FROM t
+        ), same AS (
+            SELECT a.pair_id, a.k FROM r a JOIN r b ON a.pair_id = b.pair_id AND a.k = b.k AND a.side = 0 AND b.side = 1 AND a.role = b.role AND a.text = b.text
+        ), shared AS (
+            SELECT pair_id, count(*) AS n FROM (SELECT pair_id, k, row_number() OVER (PARTITION BY pair_id ORDER BY k) AS j FROM same) WHERE j = k GROUP BY pair_id
+        ), p AS (
+            SELECT r.pair_id, coalesce(max(n), 0) AS n_shared, count(*) FILTER (side = 0) AS nc, count(*) FILTER (side = 1) AS nr,
+                   coalesce(string_agg(m, '' ORDER BY k) FILTER (side = 0 AND k <= coalesce(n, 0)), '') AS prompt,
+                   coalesce(string_agg(m, '' ORDER BY k) FILTER (side = 0 AND k > coalesce(n, 0)), '') AS chosen,
+                   coalesce(string_agg(m, '' ORDER BY k) FILTER (side = 1 AND k > coalesce(n, 0)), '') AS rejected,
+                   coalesce(flatten(list(mask ORDER BY k) FILTER (side = 0 AND k > coalesce(n, 0))), []) AS chosen_mask,
+                   coalesce(flatten(list(mask ORDER BY k) FILTER (side = 1 AND k > coalesce(n, 0))), []) AS rejected_mask
+            FROM (SELECT *, '<|im_start|>' || role || chr(10) || text || '<|im_end|>' || chr(10) AS m,
+                         CASE WHEN role = 'assistant' THEN [13 + length(role), length(text) + 11] ELSE [24 + length(role) + length(text), 0] END AS mask FROM r) r
+            LEFT JOIN shared USING (pair_id) GROUP BY r.pair_id
+        )
+        SELECT pair_id, CASE WHEN nr = 0 THEN 'chosen_only' WHEN nc = 0 THEN 'rejected_only' WHEN nc = n_shared AND nr = n_shared THEN 'identical' ELSE 'pair' END AS status,
+               n_shared, prompt, chosen, rejected, chosen_mask, rejected_mask FROM p""",
+    "op4_line_dedup": r"""
+        WITH l AS (
+            SELECT doc_id, u.pos - 1 AS pos, u.line, trim(u.line, chr(32) || chr(9) || chr(11) || chr(12) || chr(13)) AS plain
+            FROM (SELECT doc_id, unnest(list_transform(str_split(text, chr(10)), lambda x, i: {'pos': i, 'line': x})) AS u FROM documents WHERE text IS NOT NULL)
+        ), f AS (
+            SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY pos) AS k,
+                   len(regexp_split_to_array(plain, '[ \t\x0b\x0c\r]+')) AS n FROM l WHERE plain <> ''
+        ), c AS (SELECT *, sum(n) OVER (PARTITION BY doc_id ORDER BY k) AS upto FROM f
+        ), w AS (
+            SELECT a.doc_id, a.pos AS first, min(b.k) AS last_k, any_value(a.k) AS k FROM c a JOIN c b
+            ON a.doc_id = b.doc_id AND b.k BETWEEN a.k AND a.k + 7 AND b.upto - a.upto + a.n >= 8 GROUP BY a.doc_id, a.pos
+        ), g AS (
+            SELECT w.doc_id, w.first, max(c.pos) AS last, string_agg(c.plain, chr(10) ORDER BY c.k) AS body
+            FROM w JOIN c ON w.doc_id = c.doc_id AND c.k BETWEEN w.k AND w.last_k GROUP BY w.doc_id, w.first
+        ), later AS (
+            SELECT doc_id, first, last FROM (SELECT *, row_number() OVER (PARTITION BY body ORDER BY doc_id, first) AS nth FROM g) WHERE nth > 1
+        ), cut AS (SELECT DISTINCT doc_id, unnest(range(first, last + 1)) AS pos FROM later)
+        SELECT d.doc_id, max(coalesce(len(str_split(d.text, chr(10))), 0)) AS n_lines, count(cut.pos) AS n_removed,
+               CASE WHEN any_value(d.text) IS NULL THEN NULL ELSE coalesce(string_agg(l.line, chr(10) ORDER BY l.pos) FILTER (cut.pos IS NULL), '') END AS text
+        FROM documents d LEFT JOIN l ON d.doc_id = l.doc_id LEFT JOIN cut ON cut.doc_id = l.doc_id AND cut.pos = l.pos GROUP BY d.doc_id""",
     "op7_exact_dedup": r"""
         WITH n AS (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS t FROM documents)
         SELECT doc_id, min(doc_id) OVER w AS keep_id, count(*) OVER w AS group_size,
