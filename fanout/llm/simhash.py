@@ -38,7 +38,7 @@ def fingerprint(text: str, shingle: int = 3, seed: int = SEED) -> int:
     h, ones = xxhash.xxh64_intdigest, np.zeros(64, np.int64)
     for at in range(0, n, 1 << 16):  # bounded memory for very long texts
         v = np.array([h(flat[a:b], seed) for a, b in zip(starts[at : at + (1 << 16)], stops[at : at + (1 << 16)])], dtype=">u8")
-        ones += np.unpackbits(v.view(np.uint8)).reshape(-1, 64).sum(0)
+        ones += np.unpackbits(v.view(np.uint8)).reshape(-1, 64).sum(0, dtype=np.int64)
     return int.from_bytes(np.packbits(ones * 2 > n).tobytes(), "big")
 
 
