@@ -7,10 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, decontaminate, exact_dedup, line_dedup, sharding, simhash, token_counts
+from . import chat_format, decontaminate, exact_dedup, line_dedup, quality, sharding, simhash, token_counts, toxicity
 from .common import table
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.preference_pairs(chat_format.adjacent_pairs(table(spark, sf_dir, "conversations")))
 
@@ -42,8 +46,12 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op3_chat_formatting, op4_line_dedup, op5_decontamination, op6_simhash_near_dedup, op7_exact_dedup, op8_sharding, op9_token_counts)
+    f.__name__: f for f in (op1_toxicity, op3_chat_formatting, op4_line_dedup, op5_decontamination, op6_simhash_near_dedup, op7_exact_dedup, op8_sharding, op9_token_counts, op10_quality)
 }
 
 ORACLE_SQL: dict[str, str] = {
