@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, decontaminate, exact_dedup, line_dedup, quality, sharding, simhash, token_counts, toxicity
+from . import chat_format, decontaminate, exact_dedup, line_dedup, quality, sentencepiece_lattice, sharding, simhash, token_counts, toxicity
 from .common import table
 
 
@@ -15,6 +15,12 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return sentencepiece_lattice.encode(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.preference_pairs(chat_format.adjacent_pairs(table(spark, sf_dir, "conversations")))
 
@@ -51,7 +57,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_toxicity, op3_chat_formatting, op4_line_dedup, op5_decontamination, op6_simhash_near_dedup, op7_exact_dedup, op8_sharding, op9_token_counts, op10_quality)
+    f.__name__: f for f in (op1_toxicity, op2_sentencepiece, op3_chat_formatting, op4_line_dedup, op5_decontamination, op6_simhash_near_dedup, op7_exact_dedup, op8_sharding, op9_token_counts, op10_quality)
 }
 
 ORACLE_SQL: dict[str, str] = {
