@@ -40,15 +40,12 @@ def crt_regain(state: DataFrame, m: int, theta: int, moduli: tuple[int, ...] = M
         strong = both.groupBy(*cols).agg(F.count("*").alias("touched")).filter(F.col("touched") >= cut)
         met = both.join(strong, cols) if i < len(moduli) - 1 else strong
         met = met.drop("touched") if i < len(moduli) - 1 else met
-    total = reduce(lambda a, b: a * b, moduli)
-    terms = [total // q * pow(total // q, -1, q) for q in moduli]
     # the remainders are lifted one modulus at a time, which keeps every product in 63 bits
     x, step = F.col("c0"), moduli[0]
     for i, q in enumerate(moduli[1:], 1):
         inverse = pow(step, -1, q)
         x = x + F.lit(step) * F.pmod((F.col(f"c{i}") - x % q) * F.lit(inverse), F.lit(q))
         step *= q
-    assert all(t % q == 1 for t, q in zip(terms, moduli))
     out = met.withColumn("core", x.cast("long")).filter(F.col("core") < (1 << ADDRESS_BITS))
     return with_estimate(out.select(*by, "core", "touched"), m)
 

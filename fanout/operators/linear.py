@@ -35,7 +35,7 @@ def linear_salted(df: DataFrame, m: int, salts: int = 4) -> DataFrame:
     for s in range(salts):
         e = with_estimate(linear_touched(df, m, salt=s), m).select("core", "est")
         out = e if out is None else out.unionByName(e)
-    return out.groupBy("core").agg(F.round(F.avg("est"), 6).alias("est"))
+    return out.groupBy("core").agg(F.round(F.avg("est"), 4).alias("est"))
 
 
 def linear_fixed(df: DataFrame, m: int, k: int, n: int) -> DataFrame:

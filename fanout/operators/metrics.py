@@ -57,7 +57,7 @@ def error_by_load(estimates: DataFrame, truth: DataFrame, m: int) -> DataFrame:
 
 
 def work_counters(contacts: DataFrame, hot: DataFrame, chains: DataFrame, p: GridParams) -> DataFrame:
-    """One row: contacts, recorder writes, tests of the first three rows as the paper counts them, and chains by level."""
+    """One row: contacts, recorder writes, tests that a plain product of the first three rows takes, and chains by level."""
     per_row = hot.groupBy().agg(*(F.count_if(F.col("row_id") == i).alias(f"h{i}") for i in range(3)))
     levels = chains.groupBy().agg(*(F.coalesce(F.max(F.when(F.col("level") == i, F.col("chains"))), F.lit(0)).alias(f"chains_{i}") for i in range(2, p.r)))
     n = contacts.agg(F.count("*").alias("contacts"))
