@@ -33,8 +33,8 @@ def accuracy_series(scores: DataFrame) -> DataFrame:
 
 def fpr_fnr_corr(scores: DataFrame) -> DataFrame:
     """Correlation of both rates over windows; null where one of them does not vary."""
-    c = F.corr("fpr", "fnr")
-    return scores.agg(F.when((F.stddev("fpr") > 0) & (F.stddev("fnr") > 0), F.round(c, 4)).alias("corr"))
+    n = scores.filter("fpr is not null and fnr is not null").agg(F.covar_samp("fpr", "fnr").alias("c"), F.stddev("fpr").alias("a"), F.stddev("fnr").alias("b"))
+    return n.select(F.when((F.col("a") > 0) & (F.col("b") > 0), F.round(F.try_divide("c", F.col("a") * F.col("b")), 4)).alias("corr"))
 
 
 def estimate_error(estimates: DataFrame, truth: DataFrame) -> DataFrame:
