@@ -27,19 +27,22 @@ def crt_scan(df: DataFrame, m: int, moduli: tuple[int, ...] = MODULI, by: tuple[
 def crt_regain(state: DataFrame, m: int, theta: int, moduli: tuple[int, ...] = MODULI, by: tuple[str, ...] = ()) -> DataFrame:
     """(core, touched, est, saturated): hot cells are combined row by row over the bits they share, and end below the cut-off.
 
-    Cells meet on common bits, so pairs that share none are never made. Values of more than 32 bits are no addresses.
+    Each hot cell is one row with its bits in 64-bit words, so a pair costs m / 64 operations. Hot cells are at most as many as
+    the row has columns. Values of more than 32 bits are no addresses.
     """
     cut = F.lit(hot_cutoff(m, theta))
     hot = cells(state, by).filter(F.col("touched") >= cut).drop("touched")
-    bits = stored(state.join(hot, [*by, *CELL]))
-    row = lambda i: bits.filter(F.col("row_id") == i).select(*by, F.col("col_id").alias(f"c{i}"), "rec")
-    met, cols = row(0), [*by, "c0"]
+    word = state.join(hot, [*by, *CELL]).groupBy(*by, *CELL, F.expr("cast(rec div 64 as int)").alias("at")).agg(F.bit_or(F.expr("shiftleft(1L, cast(rec % 64 as int))")).alias("word"))
+    bits = word.groupBy(*by, *CELL).agg(F.map_from_entries(F.collect_list(F.struct("at", "word"))).alias("m"))
+    bits = stored(bits.select(*by, *CELL, F.transform(F.sequence(F.lit(0), F.lit((m - 1) // 64)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0).cast("long"))).alias("bits")))
+    row = lambda i: bits.filter(F.col("row_id") == i).select(*by, F.col("col_id").alias(f"c{i}"), F.col("bits").alias(f"b{i}"))
+    met = row(0).withColumnRenamed("b0", "bits")
     for i in range(1, len(moduli)):
-        cols.append(f"c{i}")
-        both = met.join(row(i), [*by, "rec"])
-        strong = both.groupBy(*cols).agg(F.count("*").alias("touched")).filter(F.col("touched") >= cut)
-        met = both.join(strong, cols) if i < len(moduli) - 1 else strong
-        met = met.drop("touched") if i < len(moduli) - 1 else met
+        both = met.join(row(i), [*by]) if by else met.crossJoin(F.broadcast(row(i)))
+        both = both.withColumn("bits", F.zip_with("bits", f"b{i}", lambda a, b: a.bitwiseAND(b))).drop(f"b{i}")
+        met = both.withColumn("touched", F.aggregate("bits", F.lit(0).cast("long"), lambda n, b: n + F.bit_count(b))).filter(F.col("touched") >= cut)
+        if i < len(moduli) - 1:
+            met = met.drop("touched")
     # the remainders are lifted one modulus at a time, which keeps every product in 63 bits
     x, step = F.col("c0"), moduli[0]
     for i, q in enumerate(moduli[1:], 1):

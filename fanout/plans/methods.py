@@ -40,7 +40,8 @@ def query(name: str, sql: str | None = None):
 
 
 def wide(sf_dir: str, **more) -> GridParams:
-    return WIDE.with_(theta=theta("F6", sf_dir), **more)
+    """The large grid at the folder's threshold; with more hot cells a row than 2^8 it takes two bits more, so that chains do not multiply."""
+    return WIDE.with_(theta=theta("F6", sf_dir), **({"w": 16} if theta("F6", sf_dir) >= 512 else {}) | more)
 
 
 def small(sf_dir: str, **more) -> GridParams:
