@@ -21,8 +21,8 @@ from .common import whole
 from .learning import THRESHOLD, fold, logistic, sample_ids, shifted
 
 WINDOW, OWN_BYTES, COMMON_BYTES = 64, 4_096, 32_768
-#: The bounded sample: labelled rows by class, and the characters of each that are used to train.
-SAMPLE, SAMPLE_CHARS = {1: 3_000, 0: 7_000}, 50_000
+#: The bounded sample: labelled rows by class, taken with their whole texts.
+SAMPLE = {1: 3_000, 0: 7_000}
 TYPICAL, CONTEXTS = 1.5, 0.8
 
 
@@ -150,7 +150,7 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
 def fit_labelled(docs: DataFrame, labels: DataFrame, folds: int = 4, left_out: int = 2) -> Model:
     """The model of at most SAMPLE labelled rows outside the left-out fold; the sample is all that the driver gets."""
     ids = sample_ids(labels, "toxic", SAMPLE, fold("doc_id", folds) != left_out)
-    rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("doc_id", F.substring(whole("text"), 1, SAMPLE_CHARS).alias("t"), "y").toPandas()
+    rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("doc_id", whole("text").alias("t"), "y").toPandas()
     rows = rows.sort_values(["doc_id", "t"])
     return fit(rows["t"].tolist(), rows["y"].tolist())
 
