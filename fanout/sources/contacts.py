@@ -80,8 +80,14 @@ def _f5(s, d):
     return to_contacts(j, encode_key(F.col("o_custkey")), F.col("l_partkey"), slot_of(F.col("o_orderdate"), SHIP_ORIGIN, SHIP_SLOT), F.col("o_orderkey") % 4)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """df dealt to all cores where its scan has fewer parts than cores (a small table of one row group); otherwise as it is."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def _tokens_of(docs: DataFrame) -> DataFrame:
-    t = ranked(docs, "source", "router").select("doc_id", "router", F.explode(tokens()).alias("token"))
+    t = ranked(spread(docs.select("doc_id", "source", "text")), "source", "router").select("doc_id", "router", F.explode(tokens()).alias("token"))
     return to_contacts(t, key32(F.col("token")), F.col("doc_id"), F.expr("doc_id div 10"), F.col("router"))
 
 
@@ -96,7 +102,7 @@ def _f7(s, d):
 
 
 def _f8(s, d):
-    t = ranked(table(s, d, "conversations"), "role", "router").select("conv_id", "turn", "router", F.explode(tokens()).alias("token"))
+    t = ranked(spread(table(s, d, "conversations").select("conv_id", "turn", "role", "text")), "role", "router").select("conv_id", "turn", "router", F.explode(tokens()).alias("token"))
     return to_contacts(t, key32(F.col("token")), F.col("conv_id"), F.col("turn"), F.col("router"))
 
 
