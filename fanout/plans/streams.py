@@ -39,6 +39,12 @@ def _(s, d):
     return L.drained(L.grid_state(L.event_stream(s, d), SMALL), "complete")
 
 
+@query("stream_dense_state", C("F1").select(f"SELECT core, {S.rec('opp', 256)} AS rec, max(slot) AS last_slot FROM c GROUP BY ALL"))
+def _(s, d):
+    state = L.newest(L.dense_state(L.event_stream(s, d), 256), "core")
+    return state.select("core", F.posexplode("last").alias("rec", "last_slot")).filter("last_slot >= 0").withColumn("rec", F.col("rec").cast("long"))
+
+
 @query("stream_heavy_report", S.regain(C("F1").add("x", "SELECT * FROM c WHERE slot > (SELECT max(slot) FROM c) - 300"), "x", S1).select("SELECT *, (SELECT max(slot) FROM c) AS slot FROM found"))
 def _(s, d):
     return L.heavy_report(L.event_stream(s, d).select("core", "opp", "slot"), SMALL.with_(theta=theta("F1", d), k=300))

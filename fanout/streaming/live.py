@@ -7,10 +7,13 @@ that they should not. Recovery needs all rows of an address together and so runs
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.hashing import encode_key, grid_columns, rec_hash
 from ..functions.params import GridParams
@@ -39,7 +42,7 @@ def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
         q = stream.writeStream.format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/log").trigger(availableNow=True).start()
         q.awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{base}/out")
-    # complete or update: each batch replaces the result of the one before
+    # complete: each batch replaces the result of the one before
     last: list[str] = []
 
     def keep(batch: DataFrame, number: int) -> None:
@@ -78,6 +81,31 @@ def grid_state(stream: DataFrame, p: GridParams) -> DataFrame:
     return marks.groupBy(F.col("row_id").cast("long").alias("row_id"), "col_id", "rec").agg(F.max("slot").alias("last_slot"))
 
 
+def dense_state(stream: DataFrame, m: int) -> DataFrame:
+    """The dense alternative: for each core one array of m last slots (-1: never) as keyed state, emitted when it changes."""
+
+    def fold(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        last = np.array(state.get[0] if state.exists else [-1] * m, np.int64)
+        for part in parts:
+            np.maximum.at(last, part["rec"].to_numpy(), part["slot"].to_numpy())
+        state.update((last.tolist(),))
+        yield pd.DataFrame({"core": [key[0]], "last": [last.tolist()]})
+
+    marks = stream.select("core", rec_hash(F.col("opp"), m).alias("rec"), "slot")
+    return marks.groupBy("core").applyInPandasWithState(fold, "core long, last array<long>", "last array<long>", "update", GroupStateTimeout.NoTimeout)
+
+
+def newest(stream: DataFrame, key: str) -> DataFrame:
+    """A stream of updates, drained: the last row of each key."""
+    spark = stream.sparkSession
+    base = f"{shared_dir(spark)}/streams/{uuid.uuid4().hex}"
+    keep = lambda batch, number: batch.withColumn("_batch", F.lit(number).cast("long")).write.mode("append").parquet(f"{base}/out")
+    stream.writeStream.outputMode("update").foreachBatch(keep).option("checkpointLocation", f"{base}/log").trigger(availableNow=True).start().awaitTermination()
+    rows = spark.read.parquet(f"{base}/out")
+    rest = [c for c in stream.columns if c != key]
+    return rows.groupBy(key).agg(*(F.max_by(c, "_batch").alias(c) for c in rest))
+
+
 def merged_routers(streams: list[DataFrame]) -> DataFrame:
     out = streams[0]
     for s in streams[1:]:
