@@ -9,7 +9,7 @@ different words; those of a passage that is merely copied often have few such co
 
 from __future__ import annotations
 
-from collections import Counter, defaultdict
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -74,13 +74,10 @@ def _typical(texts: dict[int, list[str]]) -> dict[int, list[bytes]]:
     Toxic: the log odds less two standard errors are above TYPICAL. Ordinary: the odds lean to it. Either way the words
     before it must be nearly as many as the texts that have it, which those of a copied passage are not.
     """
-    seen, before = {0: Counter(), 1: Counter()}, {0: defaultdict(set), 1: defaultdict(set)}
+    seen: dict[int, Counter] = {0: Counter(), 1: Counter()}
     for y, ts in texts.items():
         for t in ts:
-            ws = t.lower().encode().split()
-            seen[y].update(set(ws))
-            for a, b in zip([b"", *ws], ws):
-                before[y][b].add(a)
+            seen[y].update(set(t.lower().encode().split()))
     n1, n0 = len(texts[1]) + 1, len(texts[0]) + 1
 
     def odds(w: bytes) -> tuple[float, float]:
@@ -92,9 +89,16 @@ def _typical(texts: dict[int, list[str]]) -> dict[int, list[bytes]]:
         return o - 2 * e > TYPICAL if y else o < 0
 
     out = {}
-    for y in (1, 0):
-        ws = [w for w, c in before[y].items() if len(c) >= 3 and len(c) >= CONTEXTS * seen[y][w] and fits(w, y)]
-        out[y] = sorted(ws, key=lambda w: (-len(before[y][w]), w))
+    for y in (1, 0):  # only words that can be chosen have their contexts gathered: a few of all that there are
+        before = {w: set() for w, n in seen[y].items() if n >= 3 and fits(w, y)}
+        for t in texts[y]:
+            last = b""
+            for w in t.lower().encode().split():
+                if w in before:
+                    before[w].add(last)
+                last = w
+        ws = [w for w, c in before.items() if len(c) >= 3 and len(c) >= CONTEXTS * seen[y][w]]
+        out[y] = sorted(ws, key=lambda w: (-len(before[w]), w))
     out[0] = out[0][: 2 * max(50, len(out[1]))]
     return out
 
@@ -152,7 +156,9 @@ def fit_labelled(docs: DataFrame, labels: DataFrame, folds: int = 4, left_out: i
     ids = sample_ids(labels, "toxic", SAMPLE, fold("doc_id", folds) != left_out)
     rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("doc_id", whole("text").alias("t"), "y").toPandas()
     rows = rows.sort_values(["doc_id", "t"])
-    return fit(rows["t"].tolist(), rows["y"].tolist())
+    texts, toxic = rows["t"].tolist(), rows["y"].tolist()
+    del rows
+    return fit(texts, toxic)
 
 
 def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
