@@ -1,8 +1,9 @@
-"""Benchmark decontamination: rare n-gram seeds join passages to test items, Smith-Waterman alignment scores them.
+"""Benchmark decontamination: n-gram seeds join passages to test items, Smith-Waterman alignment scores them.
 
 The test items are the query set. They are taken in blocks of a bounded number of words, so that what is sent to the
-tasks has a fixed bound however large the benchmark is; each block goes against all documents in two maps. The first
-counts the items' seeds over the whole corpus, the second aligns the surroundings of rare ones.
+tasks has a fixed bound however large the benchmark is; each block goes against all documents in one map. No seed is
+set aside for being frequent: a leak may have only frequent ones. What they cost is kept down by a bound instead, as an
+alignment scores no more than the words that item and passage share; places under the needed score are not aligned.
 """
 
 from __future__ import annotations
@@ -89,13 +90,11 @@ def needed(length: int) -> int:
     return min(NEEDED, max(1, int(np.ceil(NEEDED_SHARE * length))))
 
 
-def rare_seeds(items: Items, counts: np.ndarray) -> np.ndarray:
-    """Sorted seeds that are rare: for each item those of its seeds that are no more frequent in the corpus than its median one."""
-    if not len(items.table):
-        return items.seeds
-    df = pd.DataFrame({"item": items.table[:, 1], "seed": items.table[:, 0], "n": counts[np.searchsorted(items.seeds, items.table[:, 0])]})
-    keep = df["n"] <= df.groupby("item")["n"].transform("median")
-    return np.unique(df["seed"][keep].to_numpy())
+def shared_words(item: np.ndarray, part: np.ndarray) -> int:
+    """Words of an item that a part of a text has, with repeats: no alignment of the two scores more."""
+    kinds, n = np.unique(item, return_counts=True)
+    k = np.minimum(np.searchsorted(kinds, part), len(kinds) - 1)
+    return int(np.minimum(np.bincount(k[kinds[k] == part], minlength=len(kinds)), n).sum())
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", block_words: int = BLOCK_WORDS) -> DataFrame:
@@ -126,22 +125,7 @@ def _block_leaks(corpus: DataFrame, rows: list[tuple[int, str]], kinds: str) ->
     rows = [r for r in rows if words_of(r[1])]
     kept = [Items([r for r in rows if len(words_of(r[1])) >= SEED_WORDS])]
     kept += [Items(s, n) for n in range(1, SEED_WORDS) if (s := [r for r in rows if len(words_of(r[1])) == n])]
-    sent = spark.sparkContext.broadcast(kept[0])
-
-    def tally(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        items = sent.value
-        total = np.zeros(len(items.seeds), np.int64)
-        for b in batches:
-            for t in b["_text"]:
-                _, k = items.found(items.of(t), items.seeds)
-                np.add.at(total, np.unique(k), 1)
-        some = np.flatnonzero(total)
-        yield pd.DataFrame({"seed": some, "n": total[some]})
-
-    counts = np.zeros(len(kept[0].seeds), np.int64)
-    for r in corpus.select("_text").mapInPandas(tally, "seed long, n long").groupBy("seed").agg(F.sum("n").alias("n")).toLocalIterator():
-        counts[r["seed"]] = r["n"]  # documents that have the seed; no more rows than the block has seeds
-    query = spark.sparkContext.broadcast([(kept[0], rare_seeds(kept[0], counts)), *((s, s.seeds) for s in kept[1:])])
+    query = spark.sparkContext.broadcast([(s, s.seeds) for s in kept])
 
     def aligned(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -181,7 +165,7 @@ def matches(items: Items, seeds: np.ndarray, text: str) -> list[tuple]:
                 merged.append([a, b])
         for a, b in merged:
             part = ws[a:b]
-            if np.isin(part, target).sum() >= need > best:
+            if shared_words(target, part) >= need > best:
                 score, end = align(target, part)
                 if score > best:
                     best, last = score, a + end

@@ -221,6 +221,18 @@ def test_decontamination_finds_whole_and_edited_items_and_leaves_others(spark, d
     assert decontaminate.leaks(df, bench.filter("false")).count() == 0
 
 
+def test_decontamination_finds_leaks_with_few_or_frequent_seeds(spark):
+    """An item with a fifth of its words changed, and one quoted by less than half in a third of all rows."""
+    edited, quoted = [f"e{i}" for i in range(40)], [f"q{i}" for i in range(39)]
+    changed = [w if i % 5 else "other" for i, w in enumerate(edited)]
+    rows = [(0, " ".join(["before", *changed, "after"]))]
+    rows += [(k, " ".join([f"x{k}", *quoted[10 : 24 + k % 6], f"y{k}"])) for k in range(1, 16)]
+    rows += [(k, f"nothing of an item in row {k}") for k in range(16, 46)]
+    bench = spark.createDataFrame([(0, " ".join(edited)), (1, " ".join(quoted))], "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): r["score"] for r in decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    assert got == {(0, 0): naive_alignment(edited, changed), **{(k, 1): 14 + k % 6 for k in range(1, 16)}}
+
+
 def naive_alignment(item, part):
     h = [[0] * (len(part) + 1) for _ in range(len(item) + 1)]
     for i, a in enumerate(item, 1):
