@@ -165,7 +165,7 @@ def matches(items: Items, seeds: np.ndarray, text: str) -> list[tuple]:
                 merged.append([a, b])
         for a, b in merged:
             part = ws[a:b]
-            if shared_words(target, part) >= need > best:
+            if (shared := shared_words(target, part)) >= need and shared > best:  # it may beat the best so far
                 score, end = align(target, part)
                 if score > best:
                     best, last = score, a + end

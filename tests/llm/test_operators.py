@@ -233,6 +233,14 @@ def test_decontamination_finds_leaks_with_few_or_frequent_seeds(spark):
     assert got == {(0, 0): naive_alignment(edited, changed), **{(k, 1): 14 + k % 6 for k in range(1, 16)}}
 
 
+def test_decontamination_gives_the_best_place():
+    item, gap = [f"t{i}" for i in range(40)], ["between"] * 200
+    items = decontaminate.Items([(7, " ".join(item))])
+    for parts, last in (([item[:12], gap, item, gap], 252), ([item, gap, item[:12]], 40), ([item[:12], gap, item[3:20], gap, item], 469)):
+        text = " ".join(w for p in parts for w in p)
+        assert decontaminate.matches(items, items.seeds, text) == [(7, 40, 1.0, last)]
+
+
 def naive_alignment(item, part):
     h = [[0] * (len(part) + 1) for _ in range(len(item) + 1)]
     for i, a in enumerate(item, 1):
