@@ -5,6 +5,11 @@ the smallest hash in a window is its fingerprint, the same one wherever the wind
 of `min_words` words or more has a fingerprint in common with its earlier copy. Rows are dealt by fingerprint; the
 seeds found there are extended to both sides, to every window that holds the fingerprint, and windows that repeat
 an earlier one, in one document or across documents, are merged into runs and deleted.
+
+The last lines of a repeated run may have too few words for a window of their own. With `tails` a window is also taken
+together with the lines after it, as long as the lines after its first one have fewer than `min_words` words. The last
+of these to lie within a repeated run ends where the run ends, so all maximal repeated runs are cut, whichever earlier
+copy they continue; at most `min_words` ends are taken for each line. Blank lines between two deleted lines go too.
 """
 
 from __future__ import annotations
@@ -26,7 +31,7 @@ def _plain(line: Column) -> Column:
     return F.btrim(line, F.lit(" \t\x0b\x0c\r"))
 
 
-def _windows(text: Column, min_words: int) -> Column:
+def _windows(text: Column, min_words: int, tails: bool = False) -> Column:
     """Array of (fp, key, first, last): fingerprint hash, 128-bit key of the window's lines, first and last line (from 0)."""
     units = F.filter(
         F.transform(
@@ -41,7 +46,18 @@ def _windows(text: Column, min_words: int) -> Column:
         sums = F.transform(near, lambda u, j: F.aggregate(F.slice(near, F.lit(1), j + 1), F.lit(0), lambda s, v: s + v["n"]))
         long = F.try_element_at(near, F.lit(1))["n"] >= min_words
         need = F.when(long, F.lit(1)).otherwise(F.array_position(F.transform(sums, lambda s: s >= min_words), True).cast("int"))
-        part = F.when(need > 0, F.slice(near, F.lit(1), need))
+        return run(F.when(need > 0, F.slice(near, F.lit(1), need)))
+
+    def with_tails(at: Column, us: Column) -> Column:
+        near = F.slice(us, at, F.lit(min_words))
+        one = F.try_element_at(near, F.lit(1))["n"]
+        upto = F.transform(near, lambda u, j: F.struct((j + 1).alias("lines"), F.aggregate(F.slice(near, F.lit(1), j + 1), F.lit(0), lambda s, v: s + v["n"]).alias("n")))
+        full = F.filter(upto, lambda x: x["n"] >= min_words)  # the first is the shortest, and it has to be there
+        ends = F.filter(full, lambda x, i: (i == 0) | (x["n"] - one < min_words))
+        alone = (one >= min_words) & (F.coalesce(F.try_element_at(near, F.lit(2))["n"], F.lit(min_words)) >= min_words)
+        return F.when(alone, F.array(run(F.slice(near, 1, 1)))).otherwise(F.transform(ends, lambda x: run(F.slice(near, F.lit(1), x["lines"]))))
+
+    def run(part: Column) -> Column:
         return F.struct(
             F.array_min(F.transform(part, lambda u: u["h"])).alias("fp"),
             F.unhex(F.md5(F.array_join(F.transform(part, lambda u: u["line"]), "\n"))).alias("key"),
@@ -50,18 +66,25 @@ def _windows(text: Column, min_words: int) -> Column:
         )
 
     # the array is bound once by a one-element transform, so that it is not computed anew for each line
-    each = F.transform(F.array(units), lambda us: F.when(F.size(us) > 0, F.transform(F.sequence(F.lit(1), F.size(us)), lambda at: window(at, us))))
-    return F.filter(F.element_at(each, 1), lambda w: w["first"].isNotNull())
+    each = F.transform(F.array(units), lambda us: F.when(F.size(us) > 0, F.transform(F.sequence(F.lit(1), F.size(us)), lambda at: (with_tails if tails else window)(at, us))))
+    return F.flatten(F.element_at(each, 1)) if tails else F.filter(F.element_at(each, 1), lambda w: w["first"].isNotNull())
+
+
+def _blank_gaps(lines: Column, at: Column) -> Column:
+    """Positions between two neighbours in the sorted positions `at` where all lines between them are blank."""
+    gaps = F.transform(at, lambda p, k: F.struct((p + 1).alias("a"), (F.get(at, k + 1) - 1).alias("b")))
+    gaps = F.filter(gaps, lambda g: (g["a"] <= g["b"]) & ~F.exists(F.slice(lines, g["a"] + 1, F.greatest(g["b"] - g["a"] + 1, F.lit(0))), lambda x: F.length(_plain(x)) > 0))
+    return F.flatten(F.transform(gaps, lambda g: F.sequence(g["a"], g["b"])))
 
 
-def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS, key: str = "doc_id", text: str = "text") -> DataFrame:
+def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS, key: str = "doc_id", text: str = "text", tails: bool = False) -> DataFrame:
     """documents -> (doc_id, _tag, runs array of (first, last)): windows of each document that occur earlier.
 
     Earlier is by (doc_id, hash of the text, line); a null doc_id is first. Rows alike in doc_id and text are one
     document, so they do not repeat each other. Counts are combined before the shuffle, and the windows that recur
     are stored before the join back, so that Spark can split those of a frequent line.
     """
-    rows = docs.select(F.col(key).alias("doc_id"), whole(text).alias("_t")).select("doc_id", F.xxhash64("_t").alias("_tag"), F.explode(_windows(F.col("_t"), min_words)).alias("w"))
+    rows = docs.select(F.col(key).alias("doc_id"), whole(text).alias("_t")).select("doc_id", F.xxhash64("_t").alias("_tag"), F.explode(_windows(F.col("_t"), min_words, tails)).alias("w"))
     rows, _ = stored(rows.select("doc_id", "_tag", "w.*"))
     place = F.struct("doc_id", "_tag", "first")
     firsts, _ = stored(rows.groupBy("fp", "key").agg(F.min(place).alias("_origin"), F.max(place).alias("_end")).filter("_origin != _end").drop("_end"))
@@ -69,17 +92,21 @@ def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS, key: str = "doc_i
     return later.groupBy("doc_id", "_tag").agg(F.collect_set(F.struct("first", "last")).alias("runs"))
 
 
-def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS, key: str = "doc_id", text: str = "text") -> DataFrame:
+def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS, key: str = "doc_id", text: str = "text", tails: bool = False) -> DataFrame:
     """documents -> all their columns with the repeated runs cut from the text, and _n_lines, _n_removed.
 
+    With `tails` whole maximal runs are cut, and blank lines between two cut lines; without, short last lines of a run stay, as in the query's SQL.
     The first occurrence of a run stays. Blank lines inside a deleted run go with it, others stay. A document of
     repeated lines only keeps its row with an empty text. Null texts stay null with 0 lines; empty texts have one
     empty line. Lines of very long texts are handled in time linear in their number. Other columns pass through.
     """
-    runs = repeated_runs(docs, min_words, key, text).select(F.col("doc_id").alias("_run_id"), F.col("_tag").alias("_run_tag"), "runs")
+    runs = repeated_runs(docs, min_words, key, text, tails).select(F.col("doc_id").alias("_run_id"), F.col("_tag").alias("_run_tag"), "runs")
     base = docs.withColumn("_tag", F.xxhash64(whole(text)))
     joined = base.join(runs, base[key].eqNullSafe(runs["_run_id"]) & (base["_tag"] == runs["_run_tag"]), "left")
     cut = F.array_distinct(F.flatten(F.transform("runs", lambda r: F.sequence(r["first"], r["last"]))))
+    if tails:
+        both = F.transform(F.array(F.struct(_lines(F.col(text)).alias("ls"), F.array_sort(cut).alias("at"))), lambda b: F.concat(b["at"], _blank_gaps(b["ls"], b["at"])))
+        cut = F.element_at(both, 1)
     n = F.size(_lines(F.col(text)))
     stay = F.array_except(F.sequence(F.lit(0), n - 1), cut)
     # bound once by a one-element transform, so that the text is split once and not for each line

@@ -191,6 +191,59 @@ def test_line_dedup_equals_brute_force(docs, odd):
     assert "Python" not in plan and "Arrow" not in plan
 
 
+def brute_runs(rows, least=8):
+    """Every pair of equal lines, as far as the lines after them are equal: runs of enough words are cut at the later place."""
+    docs = {i: [(k, x.strip(" \t\x0b\x0c\r")) for k, x in enumerate(t.split("\n")) if x.strip(" \t\x0b\x0c\r")] for i, t in sorted(rows)}
+    seen, out = defaultdict(list), {}
+    for i, text in sorted(rows):
+        cut, own = set(), docs[i]
+        for at, (_, line) in enumerate(own):
+            for j, b in seen[line]:
+                n = words = 0
+                while b + n < len(docs[j]) and at + n < len(own) and docs[j][b + n][1] == own[at + n][1]:
+                    words += len(re.split(r"[ \t\x0b\x0c\r]+", own[at + n][1]))
+                    n += 1
+                if words >= least:
+                    cut |= set(range(own[at][0], own[at + n - 1][0] + 1))
+            seen[line].append((i, at))
+        for (a, _), (b, _) in zip(own, own[1:]):  # blank lines between two cut lines
+            if a in cut and b in cut:
+                cut |= set(range(a, b))
+        out[i] = "\n".join(x for k, x in enumerate(text.split("\n")) if k not in cut)
+    return out
+
+
+LONG = "a line of this licence that has more than eight words"
+
+
+@pytest.mark.parametrize(
+    ("texts", "last"),
+    [
+        (["x\n" + LONG + "\nAll rights reserved.\ny", "z\n" + LONG + "\nAll rights reserved.\nw"], "z\nw"),
+        ([LONG + "\nAll rights reserved.", LONG + "\nAll rights reserved."], ""),
+        ([LONG + "\none\ntwo\nx", LONG + "\nthree\n\nfour\ny", LONG + "\nthree\n\nfour\nz"], "z"),  # goes on as the second copy, not as the first
+        (["a b c\nd e f\ng h i\nj\nk\nl", "a b c\nd e f\ng h i\nj\nk\nm"], "m"),
+        ([LONG + "\nAll rights reserved.\n" + LONG + "\nAll rights reserved.\nend"], LONG + "\nAll rights reserved.\nend"),
+    ],
+)
+def test_line_dedup_cuts_a_repeated_run_to_its_end(spark, texts, last):
+    rows = list(enumerate(texts))
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string"), tails=True).collect()}
+    assert got == brute_runs(rows) and got[len(texts) - 1] == last
+
+
+def test_whole_runs_equal_brute_force(spark, docs, odd):
+    rng = np.random.default_rng(6)
+    lines = ["a", "b c", "d e f", "g h i j k", "l m n o p q r s t", "", " \t"]
+    dense = spark.createDataFrame([(k, "\n".join(lines[i] for i in rng.integers(0, 7, 25))) for k in range(12)], "doc_id long, text string")
+    for df in (dense, docs, odd.filter("doc_id is not null and text is not null").dropDuplicates(["doc_id"])):
+        rows = [(r["doc_id"], r["text"]) for r in df.collect()]
+        cut = line_dedup.dedup_lines(df, tails=True)
+        assert {r["doc_id"]: r["text"] for r in cut.collect()} == brute_runs(rows)
+        plan = cut._jdf.queryExecution().toString()
+        assert "Python" not in plan and "Arrow" not in plan
+
+
 def test_preference_pairs(spark):
     t = [(0, 0, "user", "hi"), (0, 1, "assistant", "good"), (1, 0, "user", "hi"), (1, 1, "assistant", "bad <|im_end|>"), (2, None, None, None), (4, 0, "user", "same"), (5, 0, "user", "same"), (None, 0, "user", "lost")]
     df = spark.createDataFrame(t, "conv_id long, turn long, role string, text string").withColumn("side", F.lit("clash"))

@@ -10,6 +10,12 @@ from fanout.llm import decontaminate, simhash, toxicity, wide_simhash
 SF = "/root/testdata/sf0.001"
 
 
+def test_line_stage_cuts_short_last_lines_of_a_run(spark):
+    text = "a line of this licence that has more than eight words\nAll rights reserved."
+    df = spark.createDataFrame([(1, text, "en", "s", 0), (2, text + "\nown", "en", "s", 0)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r["doc_id"]: r["text"] for r in corpus_pipeline.without_repeated_lines(spark, df, SF).collect()} == {1: text, 2: "own"}
+
+
 def test_stages(spark, tmp_path):
     import sentencepiece
 
