@@ -4,7 +4,8 @@ Two texts with Jaccard similarity j of their shingle sets differ in a share of a
 fingerprint's bits, give or take the spread of as many draws. Posting lists hold the texts with the same three bytes at the
 same three places; 128 triples of places are listed, and texts of similarity 0.8 meet in 2.5 of them on average. In a list the
 shared bytes of a pair are tallied, and pairs with enough of them are verified by their bits. A list gives the edges of a
-forest, never all its pairs; one with more than CHUNK members is worked on in chunks that share its first member.
+forest, never all its pairs. One with more than CHUNK members is cut into chunks, and each chunk is also compared with each
+other one as a block of its own, so all pairs of a list are tallied at any size; no task holds more than two chunks of a list.
 """
 
 from __future__ import annotations
@@ -60,13 +61,13 @@ def most_bits(similarity: float) -> int:
     return ceil(8 * PLACES * p + 2 * sqrt(8 * PLACES * p * (1 - p)))
 
 
-def forest(fp: np.ndarray, bits: int) -> list[tuple[int, int]]:
-    """Edges over rows of fp (uint8, n x 64) that connect what pairs within `bits` bits connect."""
+def forest(fp: np.ndarray, bits: int, cut: int = 0) -> list[tuple[int, int]]:
+    """Edges over rows of fp (uint8, n x 64) that connect what pairs within `bits` bits connect; with a cut: pairs of a row before and one after it."""
     words, root, out = fp.view(np.uint64), np.arange(len(fp)), []
-    for i in range(len(fp) - 1):
-        other = np.flatnonzero(root != root[i])  # what is connected needs no look
+    for i in range(cut or len(fp) - 1):
+        other = cut + np.flatnonzero(root[cut:] != root[i])  # what is connected needs no look
         if not len(other):
-            break
+            continue
         other = other[(fp[other] == fp[i]).sum(1) >= LEAST_SHARED]
         other = other[np.bitwise_count(words[other] ^ words[i]).sum(1) <= bits]
         for j in other.tolist():
@@ -96,7 +97,7 @@ def _runs(batches: Iterator[pd.DataFrame], key: str) -> Iterator[pd.DataFrame]:
         yield pd.concat(held)
 
 
-def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY, key: str = "doc_id", text: str = "text") -> DataFrame:
+def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY, key: str = "doc_id", text: str = "text", chunk: int = CHUNK) -> DataFrame:
     """documents -> doc_id, component_id: the smallest doc_id of the near copies that hang together, for every input row.
 
     Null texts are empty; all texts without words are copies of each other. Texts with equal fingerprints are combined
@@ -122,31 +123,38 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIM
                 yield pd.DataFrame({"list": keys.ravel(), "node": np.repeat(part["node"].to_numpy(), len(TRIPLES))})
 
     def met(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        last, leader, count, waits = None, None, 0, False
-        for b in batches:  # runs may be of any length: only their first member is remembered
+        last, first, count = None, None, 0
+        for b in batches:  # runs may be of any length: only their first member is remembered, until a second one comes
             keys, nodes = b["list"].to_numpy(), b["node"].to_numpy()
-            out: list[tuple[int, int]] = []
+            out: list[tuple[int, int, int]] = []
             edge = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
             for s, e in zip(edge.tolist(), [*edge[1:].tolist(), len(keys)]):
                 k = int(keys[s])
                 if k != last:
-                    last, leader, count, waits = k, nodes[s], 1, True
+                    last, first, count = k, nodes[s], 1
                     s += 1
                 for n in nodes[s:e]:
-                    if count % CHUNK == 0 or waits:
-                        out.append((k << 24 | count // CHUNK, leader))
-                        waits = False
-                    out.append((k << 24 | count // CHUNK, n))
+                    if count == 1:
+                        out.append((k, 0, first))
+                    out.append((k, count // chunk, n))
                     count += 1
+                if count > chunk << 16:
+                    raise ValueError("a list has more than 65,536 chunks; take a larger chunk")
             if out:
-                yield pd.DataFrame(out, columns=["list", "node"])
+                yield pd.DataFrame(out, columns=["list", "part", "node"])
 
-    lists = kinds.mapInPandas(listed, f"list long, node {kind}").repartition("list").sortWithinPartitions("list", "node").mapInPandas(met, f"list long, node {kind}")
+    lists = kinds.mapInPandas(listed, f"list long, node {kind}").repartition("list").sortWithinPartitions("list", "node").mapInPandas(met, f"list long, part long, node {kind}")
     lists, lists_path = stored(lists)
+    # blocks of a list: each chunk alone, and each two chunks of it, where side 1 is the later one
+    tops, _ = stored(lists.filter("part > 0").groupBy("list").agg(F.max("part").alias("top")))
+    other = lists.join(tops, "list").withColumn("with", F.explode(F.sequence(F.lit(0), "top"))).filter("with != part")
+    blocks = lists.select("list", F.col("part").alias("a"), F.col("part").alias("b"), F.lit(0).alias("side"), "node").unionByName(
+        other.select("list", F.least("part", "with").alias("a"), F.greatest("part", "with").alias("b"), (F.col("part") > F.col("with")).cast("int").alias("side"), "node")
+    )
 
     def linked(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in _runs(batches, "list"):
-            keys, nodes = b["list"].to_numpy(), b["node"].to_numpy()
+        for b in _runs(batches, "block"):
+            keys, nodes, side = b["block"].to_numpy(), b["node"].to_numpy(), b["side"].to_numpy()
             fp = np.frombuffer(b"".join(b["fp"]), np.uint8).reshape(-1, PLACES)
             edge = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
             size = np.diff(np.r_[edge, len(keys)])
@@ -154,13 +162,15 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIM
             near = two[np.bitwise_count(fp[two].view(np.uint64) ^ fp[two + 1].view(np.uint64)).sum(1) <= bits]
             a, c = [nodes[near]], [nodes[near + 1]]
             for s, n in zip(edge[size > 2].tolist(), size[size > 2].tolist()):
-                if pairs := np.array(forest(np.ascontiguousarray(fp[s : s + n]), bits), np.int64).reshape(-1, 2).tolist():
+                cut = int(np.count_nonzero(side[s : s + n] == 0)) % n  # 0 where all are of one chunk
+                if pairs := np.array(forest(np.ascontiguousarray(fp[s : s + n]), bits, cut), np.int64).reshape(-1, 2).tolist():
                     i, j = np.array(pairs).T
                     a.append(nodes[s + i])
                     c.append(nodes[s + j])
             yield pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(c)})
 
-    dealt = lists.join(kinds, "node").select("list", "node", "fp").repartition("list").sortWithinPartitions("list", "node")
+    block = F.shiftleft("list", 32).bitwiseOR(F.shiftleft("a", 16)).bitwiseOR(F.col("b"))  # 31, 16 and 16 bits
+    dealt = blocks.select(block.alias("block"), "side", "node").join(kinds, "node").select("block", "side", "node", "fp").repartition("block").sortWithinPartitions("block", "side", "node")
     edges, _ = stored(dealt.mapInPandas(linked, f"a {kind}, b {kind}").filter("a != b").distinct())
     dropped(spark, lists_path)
     roots, _ = stored(components(edges))

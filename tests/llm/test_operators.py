@@ -161,6 +161,22 @@ def test_near_copies_find_similar_texts(spark):
     assert sum(got[100 + k] == k for k in range(60)) >= 58 and len(set(got.values())) >= 60
 
 
+def test_chunks_of_a_list_link_as_the_whole_list(spark, monkeypatch):
+    """Near copies with one list in common, which all texts are in; small chunks against an unchunked run."""
+    rng = np.random.default_rng(9)
+    fps = rng.integers(0, 256, (60, 64))
+    same = {0, 1, 3, *range(11, 60, 3)}
+    assert sum(set(t) <= same for t in wide_simhash.TRIPLES.tolist()) == 1
+    fps[:, [0, 1, 3]] = 7
+    for k in range(30):
+        fps[30 + k] = fps[k] ^ np.array([p not in same for p in range(64)])
+    monkeypatch.setattr(wide_simhash, "fingerprint", lambda text, shingle: bytes.fromhex(text))
+    df = spark.createDataFrame([(k, bytes(f.astype(np.uint8)).hex()) for k, f in enumerate(fps)], "doc_id long, text string")
+    for chunk in (1, 4, 7, 100_000):
+        got = {r["doc_id"]: r["component_id"] for r in wide_simhash.near_copies(df, chunk=chunk).collect()}
+        assert got == {k: k % 30 for k in range(60)}, chunk
+
+
 def brute_lines(rows, least=8):
     """First occurrence stays: the definition, window by window."""
     seen, out = set(), {}
