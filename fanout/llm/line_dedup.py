@@ -1,10 +1,9 @@
-"""Line deduplication by winnowing over line hashes, in DataFrame functions only.
+"""Line deduplication by hashes of line windows, in DataFrame functions only.
 
-A window is the shortest run of non-blank lines from a given line on that has `min_words` words. The line with
-the smallest hash in a window is its fingerprint, the same one wherever the window recurs, so every repeated run
-of `min_words` words or more has a fingerprint in common with its earlier copy. Rows are dealt by fingerprint; the
-seeds found there are extended to both sides, to every window that holds the fingerprint, and windows that repeat
-an earlier one, in one document or across documents, are merged into runs and deleted.
+A window is the shortest run of non-blank lines from a given line on that has `min_words` words. All windows are hashed,
+none are selected by winnowing: (smallest line hash, MD5 of the lines) is the key of one grouping, and the first of the two
+only deals the rows. Every repeated run of `min_words` words or more has a window in common with its earlier copy. Windows
+that repeat an earlier one, in one document or across documents, are merged into runs and deleted.
 
 The last lines of a repeated run may have too few words for a window of their own. With `tails` a window is also taken
 together with the lines after it, as long as the lines after its first one have fewer than `min_words` words. The last
