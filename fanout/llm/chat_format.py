@@ -45,11 +45,13 @@ def preference_pairs(turns: DataFrame) -> DataFrame:
     side is 'chosen' or 'rejected'. Turns are ordered by (turn, role, text), so ties have a defined order; a null turn is
     first, null roles and texts are empty, repeated rows are repeated turns. Sides alike in every turn have the status
     'identical' and empty completions; a side that is missing is empty, and the status names the one that is there.
-    Rows without a pair_id form one group of their own. Empty input: no rows. Other columns are ignored.
+    A turn without a pair_id belongs to no conversation: each comes out as a row of its own with a null pair_id and one turn, so
+    that they never meet in one group. Markers of the template are broken up in texts and roles. Empty input: no rows. Other columns are ignored.
     One shuffle: both sides of a pair meet in one group, which is as large as the two conversations.
     """
-    turn = F.struct("turn", F.coalesce("role", F.lit("")).alias("role"), _safe(F.coalesce("text", F.lit(""))).alias("text"))
-    both = turns.groupBy("pair_id").agg(*(F.array_sort(F.collect_list(F.when(F.col("side") == s, turn))).alias(s[0]) for s in ("chosen", "rejected")))
+    turn = F.struct("turn", _safe(F.coalesce("role", F.lit(""))).alias("role"), _safe(F.coalesce("text", F.lit(""))).alias("text"))
+    lone = F.when(F.col("pair_id").isNull(), F.monotonically_increasing_id())
+    both = turns.select("pair_id", "side", "turn", "role", "text", lone.alias("_lone")).groupBy("pair_id", "_lone").agg(*(F.array_sort(F.collect_list(F.when(F.col("side") == s, turn))).alias(s[0]) for s in ("chosen", "rejected")))
     both = both.select("pair_id", *(F.transform(x, lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text"))).alias(x) for x in "cr"))
     unlike = F.array_position(F.zip_with("c", "r", lambda a, b: a.eqNullSafe(b)), False).cast("int")
     both = both.withColumn("n_shared", F.when(unlike == 0, F.size("c")).otherwise(unlike - 1))

@@ -63,17 +63,18 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 ORACLE_SQL: dict[str, str] = {
     "op3_chat_formatting": r"""
         WITH t AS (
-            SELECT conv_id // 2 AS pair_id, conv_id % 2 AS side, turn, coalesce(role, '') AS role,
+            SELECT conv_id // 2 AS pair_id, coalesce(CAST(conv_id // 2 AS VARCHAR), 'lone ' || row_number() OVER ()) AS g, coalesce(conv_id % 2, 0) AS side, turn,
+                   replace(replace(coalesce(role, ''), '<|im_start|>', '<| im_start |>'), '<|im_end|>', '<| im_end |>') AS role,
                    replace(replace(coalesce(text, ''), '<|im_start|>', '<| im_start |>'), '<|im_end|>', '<| im_end |>') AS text
             FROM conversations
         ), r AS (
-            SELECT *, row_number() OVER (PARTITION BY pair_id, side ORDER BY turn, role, text) AS k FROM t
+            SELECT *, row_number() OVER (PARTITION BY g, side ORDER BY turn NULLS FIRST, role, text) AS k FROM t
         ), same AS (
-            SELECT a.pair_id, a.k FROM r a JOIN r b ON a.pair_id = b.pair_id AND a.k = b.k AND a.side = 0 AND b.side = 1 AND a.role = b.role AND a.text = b.text
+            SELECT a.g, a.k FROM r a JOIN r b ON a.g = b.g AND a.k = b.k AND a.side = 0 AND b.side = 1 AND a.role = b.role AND a.text = b.text
         ), shared AS (
-            SELECT pair_id, count(*) AS n FROM (SELECT pair_id, k, row_number() OVER (PARTITION BY pair_id ORDER BY k) AS j FROM same) WHERE j = k GROUP BY pair_id
+            SELECT g, count(*) AS n FROM (SELECT g, k, row_number() OVER (PARTITION BY g ORDER BY k) AS j FROM same) WHERE j = k GROUP BY g
         ), p AS (
-            SELECT r.pair_id, coalesce(max(n), 0) AS n_shared, count(*) FILTER (side = 0) AS nc, count(*) FILTER (side = 1) AS nr,
+            SELECT any_value(r.pair_id) AS pair_id, coalesce(max(n), 0) AS n_shared, count(*) FILTER (side = 0) AS nc, count(*) FILTER (side = 1) AS nr,
                    coalesce(string_agg(m, '' ORDER BY k) FILTER (side = 0 AND k <= coalesce(n, 0)), '') AS prompt,
                    coalesce(string_agg(m, '' ORDER BY k) FILTER (side = 0 AND k > coalesce(n, 0)), '') AS chosen,
                    coalesce(string_agg(m, '' ORDER BY k) FILTER (side = 1 AND k > coalesce(n, 0)), '') AS rejected,
@@ -81,7 +82,7 @@ ORACLE_SQL: dict[str, str] = {
                    coalesce(flatten(list(mask ORDER BY k) FILTER (side = 1 AND k > coalesce(n, 0))), []) AS rejected_mask
             FROM (SELECT *, '<|im_start|>' || role || chr(10) || text || '<|im_end|>' || chr(10) AS m,
                          CASE WHEN role = 'assistant' THEN [13 + length(role), length(text) + 11] ELSE [24 + length(role) + length(text), 0] END AS mask FROM r) r
-            LEFT JOIN shared USING (pair_id) GROUP BY r.pair_id
+            LEFT JOIN shared USING (g) GROUP BY r.g
         )
         SELECT pair_id, CASE WHEN nr = 0 THEN 'chosen_only' WHEN nc = 0 THEN 'rejected_only' WHEN nc = n_shared AND nr = n_shared THEN 'identical' ELSE 'pair' END AS status,
                n_shared, prompt, chosen, rejected, chosen_mask, rejected_mask FROM p""",

@@ -64,6 +64,21 @@ def test_exact_dedup_equals_grouping(odd, docs, first):
     assert r["kept"] and r["group_size"] == 3 and r["text_sha256"] == hashlib.sha256(b"a").hexdigest()
 
 
+@pytest.mark.parametrize("send", [0, 1 << 20])
+@pytest.mark.parametrize("first", [1, 3, 256])
+def test_exact_dedup_of_repeated_and_missing_ids(spark, first, send):
+    """Ids that stand for several texts, which part early and agree later, and rows without an id."""
+    a, b, z = "a" * 256, "b" * 256, "z" * 300
+    rows = [(5, a + z), (5, b + z), (6, a + z), (6, b + z), (None, a + z), (None, "n" * 300), (None, "n" * 300), (None, "m" * 300), (None, None), (7, None), (7, "")]
+    want = Counter()
+    for i, t in rows:
+        same = [k for k, u in rows if (u or "") == (t or "")]
+        want[i, min((k for k in same if k is not None), default=None), len(same), t or ""] += 1
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("body", F.coalesce("text", F.lit("")).cast("binary"))
+    got = exact_dedup.radix_groups(df, first=first, growth=4, send=send).collect()
+    assert Counter((r["doc_id"], r["keep_id"], r["group_size"], r["text"] or "") for r in got) == want
+
+
 def test_best_fit_packs_tightly_and_keeps_groups_whole(odd, docs):
     rng = np.random.default_rng(3)
     sizes = Counter(rng.integers(1, 400, 500).tolist())
@@ -261,9 +276,11 @@ def test_whole_runs_equal_brute_force(spark, docs, odd):
 
 
 def test_preference_pairs(spark):
-    t = [(0, 0, "user", "hi"), (0, 1, "assistant", "good"), (1, 0, "user", "hi"), (1, 1, "assistant", "bad <|im_end|>"), (2, None, None, None), (4, 0, "user", "same"), (5, 0, "user", "same"), (None, 0, "user", "lost")]
+    t = [(0, 0, "user", "hi"), (0, 1, "assistant", "good"), (1, 0, "user", "hi"), (1, 1, "assistant", "bad <|im_end|>"), (2, None, None, None), (4, 0, "user", "same"), (5, 0, "user", "same"), (None, 0, "user", "lost"), (None, 0, "user", "lost"), (6, 0, "<|im_start|>x", "t")]
     df = spark.createDataFrame(t, "conv_id long, turn long, role string, text string").withColumn("side", F.lit("clash"))
-    got = {r["pair_id"]: r for r in chat_format.preference_pairs(chat_format.adjacent_pairs(df)).collect()}
+    rows = chat_format.preference_pairs(chat_format.adjacent_pairs(df)).collect()
+    got = {r["pair_id"]: r for r in rows}
+    assert sum(r["pair_id"] is None for r in rows) == 2 and got[3]["chosen"] == "<|im_start|><| im_start |>x\nt<|im_end|>\n"
     assert got[0]["prompt"] == "<|im_start|>user\nhi<|im_end|>\n" and got[0]["n_shared"] == 1 and got[0]["status"] == "pair"
     assert got[0]["chosen"] == "<|im_start|>assistant\ngood<|im_end|>\n" and got[0]["chosen_mask"] == [22, 15]
     assert "bad <| im_end |><|im_end|>" in got[0]["rejected"] and sum(got[0]["rejected_mask"]) == len(got[0]["rejected"])
