@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import whole
+
 THRESHOLD = 0.3
 
 
@@ -25,6 +27,18 @@ def sample_ids(labels: DataFrame, label: str, most: dict[int, int], keep: Column
     return out
 
 
+def sample_texts(docs: DataFrame, ids: DataFrame, most_bytes: int | None = None) -> DataFrame:
+    """(doc_id, y) of a bounded sample -> (doc_id, y, t): one text for each id that documents has, of repeated ids the smallest.
+
+    With `most_bytes` those of a class are taken by the hash of the id until that many bytes are reached; one at least.
+    """
+    texts = docs.select("doc_id", whole("text").alias("t")).join(F.broadcast(ids), "doc_id").groupBy("doc_id", "y").agg(F.min("t").alias("t"))
+    if most_bytes is None:
+        return texts
+    before = Window.partitionBy("y").orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, -1)
+    return texts.withColumn("n", F.coalesce(F.sum(F.octet_length("t").cast("long")).over(before), F.lit(0))).filter(F.col("n") < most_bytes).drop("n")
+
+
 def logistic(x: np.ndarray, y: np.ndarray, lasso: float = 0.0, rounds: int = 400) -> tuple[np.ndarray, float]:
     """Weights and intercept of a logistic model, by accelerated proximal steps; `lasso` is the L1 weight (0: a slight ridge)."""
     n, k = x.shape

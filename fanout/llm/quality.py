@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import whole
-from .learning import THRESHOLD, fold, logistic, sample_ids, shifted
+from .learning import THRESHOLD, fold, logistic, sample_ids, sample_texts, shifted
 
 #: The bounded sample of labelled rows by class.
 SAMPLE = {1: 12_000, 0: 6_000}
@@ -158,15 +158,15 @@ def fit_labelled(docs: DataFrame, labels: DataFrame, folds: int = 5, left_out: i
     """The model of at most SAMPLE labelled rows outside the left-out fold; their statistics are all that the driver gets."""
     ids = sample_ids(labels, "quality", SAMPLE, fold("doc_id", folds) != left_out)
     cols = [f"_s_{s}" for s in STATISTICS]
-    rows = statistics(docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id")).select("doc_id", "y", *cols).toPandas().sort_values(["doc_id", *cols])
+    rows = statistics(sample_texts(docs, ids), "t").select("doc_id", "y", *cols).toPandas().sort_values(["doc_id", *cols])
     return fit(rows[cols].to_numpy(float), rows["y"].to_numpy(int))
 
 
 def quality(docs: DataFrame, labels: DataFrame, folds: int = 5, left_out: int = 0, threshold: float = THRESHOLD) -> DataFrame:
     """documents, labels(doc_id, quality) -> doc_id, held_out, score, predicted for every row of documents, repeated ones each.
 
-    Labels of the left-out fold are not looked at. Null labels are skipped, repeated ones count as their largest. Null texts
-    are empty, and empty texts have a score. Without labels of both classes all scores are equal. Empty input: no rows. Other
+    Labels of the left-out fold are not looked at. Null labels are skipped, repeated ones count as their largest; of repeated
+    doc_ids the smallest text is learned from. Null texts are empty, and empty texts have a score. Without labels of both classes all scores are equal. Empty input: no rows. Other
     columns are ignored. One map in built-in functions, without a shuffle.
     """
     model = fit_labelled(docs, labels, folds, left_out)

@@ -1,10 +1,13 @@
 """Toxicity by compression distance: zstandard dictionaries of toxic and of ordinary text.
 
 A text is cut at blanks into windows. Each is compressed with either dictionary; how many bytes the toxic one saves over
-the ordinary one is the window's distance. The ordinary dictionary is trained on windows of ordinary text and on words
-typical of it; the toxic one is trained on words typical of toxic text and ends in the ordinary one, at the same offsets, so
-that windows without anything toxic are equally long under both. Words count as typical only if they are met after many
-different words; those of a passage that is merely copied often have few such contexts.
+the ordinary one is the window's distance. The ordinary dictionary is trained on windows of ordinary text and, so that its
+commonest words are sure to be there, on excerpts of it; the toxic one is trained on excerpts of toxic text and ends in the
+ordinary one, at the same offsets, so that windows without anything toxic are equally long under both. An excerpt is what is
+left of a text, in its order, when words are left out that are not typical of its class. Words count as typical only if they
+are met after many different words; those of a passage that is merely copied often have few such contexts.
+The contents of the trained dictionaries are loaded without their entropy tables, which are tuned to long samples and blur
+the lengths of short windows.
 """
 
 from __future__ import annotations
@@ -14,15 +17,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import whole
-from .learning import THRESHOLD, fold, logistic, sample_ids, shifted
+from .learning import THRESHOLD, fold, logistic, sample_ids, sample_texts, shifted
 
 WINDOW, OWN_BYTES, COMMON_BYTES = 64, 4_096, 32_768
-#: The bounded sample: labelled rows by class, taken with their whole texts.
-SAMPLE = {1: 3_000, 0: 7_000}
+#: The bounded sample: labelled rows by class with their whole texts, and bytes of text by class; then the windows, chosen at
+#: random from all its ordinary texts, that the ordinary dictionary is trained on.
+SAMPLE, SAMPLE_BYTES, PLAIN_WINDOWS = {1: 3_000, 0: 7_000}, 48 << 20, 40_000
 TYPICAL, CONTEXTS = 1.5, 0.8
 
 
@@ -57,17 +61,43 @@ def compressor(content: bytes):
     return z.ZstdCompressor(dict_data=d, compression_params=p)
 
 
-def _trained(samples: list[bytes], size: int, fast: bool = False) -> bytes:
-    """The content of a zstandard dictionary; the samples themselves, cut to the size, where they are too few to train on."""
+def _loads(dictionary: bytes) -> bool:
     import zstandard as z
 
     try:
-        d = z.train_dictionary(size, samples, **({"k": 32, "d": 6} if fast else {}))
-        return d.as_bytes()[-size:]
+        d = z.ZstdCompressionDict(dictionary, dict_type=z.DICT_TYPE_FULLDICT)
+        d.precompute_compress(compression_params=_settings())
+        z.ZstdCompressor(dict_data=d, compression_params=_settings()).compress(b" ")
+        return True
+    except z.ZstdError:
+        return False
+
+
+def content(dictionary: bytes) -> bytes:
+    """What follows the entropy tables of a trained dictionary: the shortest beginning that loads has 8 bytes of it."""
+    for n in range(9, min(len(dictionary), 4_096)):
+        if _loads(dictionary[:n]):
+            return dictionary[n - 8 :]
+    raise ValueError("no dictionary")
+
+
+def _trained(samples: list[bytes], size: int, **how) -> bytes:
+    """The content of a dictionary trained on the samples, at most `size` bytes; the samples themselves, cut to the size, where they are too few to train on."""
+    import zstandard as z
+
+    try:
+        return content(z.train_dictionary(size + 512, samples, **how).as_bytes())[-size:]
     except z.ZstdError:
         return b"".join(samples)[:size]
 
 
+def excerpts(texts: list[str], words: list[bytes]) -> list[bytes]:
+    """Windows over what is left of each text when only these words stay, in their order."""
+    some = set(words)
+    left = (b" ".join(w for w in t.lower().encode().split() if w in some).decode() for t in texts)
+    return [w for t in left for w in windows(t)]
+
+
 def _typical(texts: dict[int, list[str]]) -> dict[int, list[bytes]]:
     """For each class the words that are typical of it, those with the most contexts first.
 
@@ -135,13 +165,12 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
         own_half[y == k] = np.arange((y == k).sum()) % 3 < 2
     train = {k: [texts[i] for i in np.flatnonzero(own_half & (y == k))] for k in (0, 1)}
     rng = np.random.default_rng(7)
-    plain = [w for t in train[0][:1500] for w in windows(t)]
-    common = _trained([plain[i] for i in rng.permutation(len(plain))[:40_000]], COMMON_BYTES)
+    plain = [w for t in train[0] for w in windows(t)]
+    common = _trained([plain[i] for i in rng.permutation(len(plain))[:PLAIN_WINDOWS]], COMMON_BYTES)
     own = {}
     for k, ws in _typical(train).items():
-        s = [w for w in ws for _ in range(20)]
-        s = [s[i] for i in rng.permutation(len(s))]
-        own[k] = _trained([b" " + b" ".join(s[i : i + 8]) + b" " for i in range(0, len(s), 8)], OWN_BYTES, fast=True)
+        parts = excerpts(train[k], ws)
+        own[k] = _trained([parts[i] for i in rng.permutation(len(parts))[:PLAIN_WINDOWS]], OWN_BYTES, k=32, d=6)
     ordinary = own[0] + common
     model = Model(own[1] + ordinary, b" " * len(own[1]) + ordinary, np.zeros(5), 0.0)
     rest = np.flatnonzero(~own_half)
@@ -152,20 +181,19 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
 
 
 def fit_labelled(docs: DataFrame, labels: DataFrame, folds: int = 4, left_out: int = 2) -> Model:
-    """The model of at most SAMPLE labelled rows outside the left-out fold; the sample is all that the driver gets."""
-    ids = sample_ids(labels, "toxic", SAMPLE, fold("doc_id", folds) != left_out)
-    rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("doc_id", whole("text").alias("t"), "y").toPandas()
+    """The model of at most SAMPLE labelled rows outside the left-out fold; the sample, of bounded bytes, is all that the driver gets."""
+    rows = sample_texts(docs, sample_ids(labels, "toxic", SAMPLE, fold("doc_id", folds) != left_out), SAMPLE_BYTES).toPandas()
     rows = rows.sort_values(["doc_id", "t"])
     texts, toxic = rows["t"].tolist(), rows["y"].tolist()
     del rows
     return fit(texts, toxic)
 
 
-def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """documents -> all their columns and `_score` of the whole text. A map without a shuffle; null texts are empty, and score what an empty text does."""
+def scores(spark: SparkSession, model: Model, text: str = "text") -> Column:
+    """The score of the whole text as a column; null texts are empty, and score what an empty text does. A map without a shuffle."""
     from pyspark.sql.functions import pandas_udf
 
-    sent = docs.sparkSession.sparkContext.broadcast(model)  # two dictionaries of fixed size and five weights
+    sent = spark.sparkContext.broadcast(model)  # two dictionaries of fixed size and five weights
 
     @pandas_udf("double")
     def of(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
@@ -173,14 +201,15 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
         for b in batches:
             yield b.map(m.score)
 
-    return docs.withColumn("_score", of(whole(text)))
+    return of(whole(text))
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, folds: int = 4, left_out: int = 2, threshold: float = THRESHOLD) -> DataFrame:
     """documents, labels(doc_id, toxic) -> doc_id, held_out, score, predicted for every row of documents, repeated ones each.
 
-    Labels of the left-out fold are not looked at. Null labels are skipped, repeated ones count as their largest. Without
-    labels of both classes all scores are equal. Empty input: no rows. Other columns are ignored.
+    Labels of the left-out fold are not looked at. Null labels are skipped, repeated ones count as their largest; of repeated
+    doc_ids the smallest text is learned from. Without labels of both classes all scores are equal. Empty input: no rows. Other
+    columns are ignored. Very long texts are scored whole, window by window.
     """
-    scored = score(docs, fit_labelled(docs, labels, folds, left_out))
-    return scored.select("doc_id", (fold("doc_id", folds) == left_out).alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= threshold).cast("int").alias("predicted"))
+    scored = docs.select("doc_id", scores(docs.sparkSession, fit_labelled(docs, labels, folds, left_out)).alias("score"))
+    return scored.select("doc_id", (fold("doc_id", folds) == left_out).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
