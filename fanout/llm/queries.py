@@ -93,16 +93,13 @@ ORACLE_SQL: dict[str, str] = {
         ), f AS (
             SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY pos) AS k,
                    len(regexp_split_to_array(plain, '[ \t\x0b\x0c\r]+')) AS n FROM l WHERE plain <> ''
-        ), c AS (SELECT *, sum(n) OVER (PARTITION BY doc_id ORDER BY k) AS upto FROM f
-        ), w AS (
-            SELECT a.doc_id, a.pos AS first, min(b.k) AS last_k, any_value(a.k) AS k FROM c a JOIN c b
-            ON a.doc_id = b.doc_id AND b.k BETWEEN a.k AND a.k + 7 AND b.upto - a.upto + a.n >= 8 GROUP BY a.doc_id, a.pos
-        ), g AS (
-            SELECT w.doc_id, w.first, max(c.pos) AS last, string_agg(c.plain, chr(10) ORDER BY c.k) AS body
-            FROM w JOIN c ON w.doc_id = c.doc_id AND c.k BETWEEN w.k AND w.last_k GROUP BY w.doc_id, w.first
-        ), later AS (
-            SELECT doc_id, first, last FROM (SELECT *, row_number() OVER (PARTITION BY body ORDER BY doc_id, first) AS nth FROM g) WHERE nth > 1
-        ), cut AS (SELECT DISTINCT doc_id, unnest(range(first, last + 1)) AS pos FROM later)
+        ), same AS (
+            SELECT b.doc_id, a.doc_id AS origin, b.k - a.k AS off, b.k, b.pos, b.n, b.k - row_number() OVER (PARTITION BY b.doc_id, a.doc_id, b.k - a.k ORDER BY b.k) AS island
+            FROM f a JOIN f b ON a.plain = b.plain AND (a.doc_id < b.doc_id OR a.doc_id = b.doc_id AND a.k < b.k)
+        ), runs AS (SELECT DISTINCT doc_id, min(k) AS low, max(k) AS high FROM same GROUP BY doc_id, origin, off, island HAVING sum(n) >= 8
+        ), lines AS (SELECT DISTINCT f.doc_id, f.k, f.pos FROM runs JOIN f ON f.doc_id = runs.doc_id AND f.k BETWEEN low AND high
+        ), next AS (SELECT *, lead(k) OVER w AS next_k, lead(pos) OVER w AS next_pos FROM lines WINDOW w AS (PARTITION BY doc_id ORDER BY k)
+        ), cut AS (SELECT doc_id, unnest(range(pos, CASE WHEN next_k = k + 1 THEN next_pos ELSE pos + 1 END)) AS pos FROM next)
         SELECT d.doc_id, max(coalesce(len(str_split(d.text, chr(10))), 0)) AS n_lines, count(cut.pos) AS n_removed,
                CASE WHEN any_value(d.text) IS NULL THEN NULL ELSE coalesce(string_agg(l.line, chr(10) ORDER BY l.pos) FILTER (cut.pos IS NULL), '') END AS text
         FROM documents d LEFT JOIN l ON d.doc_id = l.doc_id LEFT JOIN cut ON cut.doc_id = l.doc_id AND cut.pos = l.pos GROUP BY d.doc_id""",

@@ -192,36 +192,6 @@ def test_chunks_of_a_list_link_as_the_whole_list(spark, monkeypatch):
         assert got == {k: k % 30 for k in range(60)}, chunk
 
 
-def brute_lines(rows, least=8):
-    """First occurrence stays: the definition, window by window."""
-    seen, out = set(), {}
-    for i, text in sorted(rows, key=lambda r: r[0]):
-        lines = text.split("\n")
-        units = [(k, x.strip(" \t\x0b\x0c\r")) for k, x in enumerate(lines) if x.strip(" \t\x0b\x0c\r")]
-        cut = set()
-        for a in range(len(units)):
-            n = 0
-            for b in range(a, len(units)):
-                n += len(re.split(r"[ \t\x0b\x0c\r]+", units[b][1]))
-                if n >= least:
-                    key = "\n".join(x for _, x in units[a : b + 1])
-                    if key in seen:
-                        cut |= set(range(units[a][0], units[b][0] + 1))
-                    seen.add(key)
-                    break
-        out[i] = "\n".join(x for k, x in enumerate(lines) if k not in cut)
-    return out
-
-
-def test_line_dedup_equals_brute_force(docs, odd):
-    for df in (docs, odd.filter("doc_id is not null and text is not null").dropDuplicates(["doc_id"])):
-        rows = [(r["doc_id"], r["text"]) for r in df.collect()]
-        assert {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(df).collect()} == brute_lines(rows)
-    assert line_dedup.dedup_lines(odd).count() == odd.count()
-    plan = line_dedup.dedup_lines(docs)._jdf.queryExecution().toString()
-    assert "Python" not in plan and "Arrow" not in plan
-
-
 def brute_runs(rows, least=8):
     """Every pair of equal lines, as far as the lines after them are equal: runs of enough words are cut at the later place."""
     docs = {i: [(k, x.strip(" \t\x0b\x0c\r")) for k, x in enumerate(t.split("\n")) if x.strip(" \t\x0b\x0c\r")] for i, t in sorted(rows)}
@@ -259,7 +229,7 @@ LONG = "a line of this licence that has more than eight words"
 )
 def test_line_dedup_cuts_a_repeated_run_to_its_end(spark, texts, last):
     rows = list(enumerate(texts))
-    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string"), tails=True).collect()}
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == brute_runs(rows) and got[len(texts) - 1] == last
 
 
@@ -267,14 +237,36 @@ def test_whole_runs_equal_brute_force(spark, docs, odd):
     rng = np.random.default_rng(6)
     lines = ["a", "b c", "d e f", "g h i j k", "l m n o p q r s t", "", " \t"]
     dense = spark.createDataFrame([(k, "\n".join(lines[i] for i in rng.integers(0, 7, 25))) for k in range(12)], "doc_id long, text string")
-    for df in (dense, docs, odd.filter("doc_id is not null and text is not null").dropDuplicates(["doc_id"])):
+    short = spark.createDataFrame([(k, "\n".join("uvwxyz"[i] for i in rng.integers(0, 6, 60))) for k in range(20)], "doc_id long, text string")
+    for df in (dense, short, docs, odd.filter("doc_id is not null and text is not null").dropDuplicates(["doc_id"])):
         rows = [(r["doc_id"], r["text"]) for r in df.collect()]
-        cut = line_dedup.dedup_lines(df, tails=True)
+        cut = line_dedup.dedup_lines(df)
         assert {r["doc_id"]: r["text"] for r in cut.collect()} == brute_runs(rows)
         plan = cut._jdf.queryExecution().toString()
         assert "Python" not in plan and "Arrow" not in plan
 
 
+def test_line_minima_are_fewer_than_windows_and_guaranteed(spark, docs):
+    short = spark.createDataFrame([(k, "\n".join(f"w{(i * 7 + k) % 50}" for i in range(200))) for k in range(3)], "doc_id long, text string")
+    n = short.select(F.explode(line_dedup._fingerprints(F.col("text"), 8)).alias("s")).count()
+    assert n < 0.5 * 3 * (200 - 7)
+
+
+def test_line_dedup_keeps_all_rows_and_columns(odd, none):
+    extra = odd.withColumns({c: F.lit("own") for c in ("runs", "_tag", "_run_id", "_run_tag", "_runs", "_c0", "at", "windows", "a.b")})
+    out = line_dedup.dedup_lines(extra)
+    assert out.columns == [*extra.columns, "_n_lines", "_n_removed"]
+    assert out.count() == odd.count() == out.filter("runs = 'own' and _tag = 'own' and _run_id = 'own' and _c0 = 'own'").count()
+    assert line_dedup.dedup_lines(none.withColumn("runs", F.lit(1))).count() == 0
+
+
+def test_line_dedup_of_a_very_long_text(spark):
+    """40,000 lines, of which the second half repeats the first."""
+    half = "\n".join(f"line {i} of a long text with some more words in it" for i in range(20_000))
+    got = line_dedup.dedup_lines(spark.createDataFrame([(1, half + "\n" + half)], "doc_id long, text string")).first()
+    assert got["text"] == half and got["_n_removed"] == 20_000
+
+
 def test_preference_pairs(spark):
     t = [(0, 0, "user", "hi"), (0, 1, "assistant", "good"), (1, 0, "user", "hi"), (1, 1, "assistant", "bad <|im_end|>"), (2, None, None, None), (4, 0, "user", "same"), (5, 0, "user", "same"), (None, 0, "user", "lost"), (None, 0, "user", "lost"), (6, 0, "<|im_start|>x", "t")]
     df = spark.createDataFrame(t, "conv_id long, turn long, role string, text string").withColumn("side", F.lit("clash"))
