@@ -15,12 +15,12 @@ from fanout.llm.learning import THRESHOLD
 def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects documents that score 0.3 or more; the model learns from the labelled rows of `docs`."""
     model = toxicity.fit_labelled(docs, table(spark, sf_dir, "labels"))
-    return toxicity.score(docs, model).filter(F.col("_score") < THRESHOLD).drop("_score")
+    return docs.filter(toxicity.scores(spark, model) < THRESHOLD)
 
 
 def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Cuts runs of lines that occur earlier; n_chars is the new length. All rows stay, some with an empty text."""
-    cut = line_dedup.dedup_lines(docs, tails=True)
+    cut = line_dedup.dedup_lines(docs)
     return cut.withColumn("n_chars", F.when(F.col("_n_removed") > 0, F.length("text")).otherwise(F.col("n_chars")).cast("long")).select(docs.columns)
 
 
