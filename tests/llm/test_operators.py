@@ -362,6 +362,64 @@ def test_classifiers_learn_and_give_every_row_a_score(spark, docs, odd, labels,
         assert f(none, known).count() == 0
 
 
+def test_toxicity_scores_follow_from_compressed_lengths(spark):
+    """Scores of the column against lengths under both dictionaries, window by window; a very long text among them."""
+    import zstandard as z
+
+    docs, known = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    model = toxicity.fit_labelled(docs, known)
+    some = [(r["doc_id"], r["text"]) for r in docs.orderBy("doc_id").limit(40).collect()] + [(-1, None), (-2, ""), (-3, "idiot " * 60_000)]
+    got = {r["doc_id"]: r["s"] for r in spark.createDataFrame(some, "doc_id long, text string").select("doc_id", toxicity.scores(spark, model).alias("s")).collect()}
+
+    def size(window, dictionary):
+        d = z.ZstdCompressionDict(dictionary, dict_type=z.DICT_TYPE_RAWCONTENT)
+        return len(z.ZstdCompressor(dict_data=d, compression_params=toxicity._settings()).compress(window))
+
+    assert model.toxic.endswith(model.ordinary.lstrip(b" ")) and len(model.toxic) == len(model.ordinary)
+    for i, t in some:
+        ws = toxicity.windows(t or "")
+        if (t or "").split():  # the windows are the whole text
+            assert b"".join(w[:-1] for w in ws) == b" " + b" ".join(t.lower().encode().split())
+        length = {w: size(w, model.ordinary) - size(w, model.toxic) for w in set(ws)}
+        d = np.array([length[w] for w in ws] or [0])
+        x = [np.maximum(d, 0).mean(), min(12, d.max()) / 4, np.log1p((d >= 4).sum()), (d >= 4).mean() * 4, np.log1p((d >= 6).sum())]
+        margin = np.clip(np.dot(x, model.weights) + model.bias, -40, 40)
+        assert abs(got[i] - 1 / (1 + np.exp(-margin))) < 1e-9
+
+
+def test_toxicity_on_held_out_labels(spark):
+    docs, known = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    rows = toxicity.toxicity(docs, known).join(known, "doc_id").filter("held_out and toxic is not null").select("toxic", "score").collect()
+    pos, neg = (np.array([r["score"] for r in rows if r["toxic"] == y]) for y in (1, 0))
+    assert ((pos[:, None] > neg) + (pos[:, None] == neg) / 2).mean() >= 0.9
+
+
+def test_labels_repeated_null_or_of_rows_that_share_an_id(spark):
+    docs, known = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    more = known.unionByName(known).unionByName(known.limit(5).withColumn("toxic", F.lit(None).cast("int")).withColumn("quality", F.lit(None).cast("int")))
+    twice = docs.unionByName(docs.limit(30))
+    for f in (toxicity.toxicity, quality.quality):
+        want = {r["doc_id"]: r["score"] for r in f(docs, known).collect()}
+        got = f(twice, more).collect()
+        assert len(got) == docs.count() + 30 and all(abs(r["score"] - want[r["doc_id"]]) < 1e-9 for r in got)
+
+
+def test_rules_as_columns_equal_rules_in_numpy(spark):
+    docs, known = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    model = quality.fit_labelled(docs, known)
+    odd = spark.createDataFrame([(-1, None), (-2, ""), (-3, "A1! | " * 20_000), (-4, "x\n" * 9)], "doc_id long, text string")
+    cols = [f"_s_{c}" for c in quality.STATISTICS]
+    rows = quality.statistics(docs.select("doc_id", "text").unionByName(odd)).select(*cols, model.column().alias("score")).collect()
+    x = np.array([[r[c] for c in cols] for r in rows])
+    margin = np.full(len(x), model.bias)
+    for rule, w in zip(model.rules, model.weights):
+        hit = np.ones(len(x), bool)
+        for t in rule:
+            hit &= x[:, t.stat] > t.cut if t.above else x[:, t.stat] <= t.cut
+        margin += w * hit
+    assert model.rules and np.allclose(1 / (1 + np.exp(-np.clip(margin, -40, 40))), [r["score"] for r in rows])
+
+
 def test_empty_tables(none, spark):
     bench = spark.createDataFrame([(1, "some words of an item that is long enough to be found")], "item_id long, text string")
     for df in (
