@@ -85,20 +85,50 @@ def pool_scan(df: DataFrame, bits: int, s: int, by: tuple[str, ...] = ()) -> Dat
     return df.select(*by, "core", rec_hash(F.col("opp"), s).alias("v")).distinct().select(*by, _spot(F.col("core"), F.col("v"), bits).alias("bit")).distinct()
 
 
-def pool_query(pool: DataFrame, cores: DataFrame, bits: int, s: int, by: tuple[str, ...] = ()) -> DataFrame:
-    """(by, core) of a stored list -> (core, touched, est): virtual bits that are set, less what the pool's fill explains."""
-    each = cores.select(*by, "core").distinct().withColumn("bit", F.explode(F.transform(F.sequence(F.lit(0), F.lit(s - 1)), lambda v: _spot(F.col("core"), v.cast("long"), bits))))
-    seen = each.join(pool, [*by, "bit"]).groupBy(*by, "core").agg(F.count("*").alias("touched"))
-    fill = pool.groupBy(*by).agg((F.lit(1.0) - F.count("*") / F.lit(float(bits))).alias("_free"))
-    both = seen.join(fill, [*by]) if by else seen.join(F.broadcast(fill))
-    own = F.greatest(F.lit(s) - F.col("touched"), F.lit(1)).cast("double") / F.lit(float(s))
-    return both.select(*by, "core", "touched", F.round(F.lit(float(s)) * F.log("_free") - F.lit(float(s)) * F.log(own), 6).alias("est"))
+def pool_words(pool: DataFrame, bits: int, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by, bit) -> (by, words, free): the pool as 64-bit words, bits / 8 bytes a row whatever the traffic, and its share of clear bits."""
+    word = pool.groupBy(*by, F.expr("cast(bit div 64 as int)").alias("at")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit % 64 as int))")).alias("word"))
+    set_bits = F.sum(F.bit_count("word")).alias("n")
+    held = word.groupBy(*by).agg(F.array_sort(F.collect_list(F.struct("at", "word"))).alias("w"), set_bits)
+    # words that are clear are filled in: the gap before each set word, and the one at the end
+    prev = lambda i: F.when(i == 0, F.lit(-1)).otherwise(F.get("w", i - 1)["at"])
+    gap = lambda n: F.array_repeat(F.lit(0).cast("long"), n)
+    full = F.flatten(F.transform("w", lambda x, i: F.concat(gap(x["at"] - prev(i) - 1), F.array(x["word"]))))
+    full = F.concat(full, gap(F.lit((bits + 63) // 64 - 1) - F.element_at("w", -1)["at"]))
+    return held.select(*by, full.alias("words"), (F.lit(1.0) - F.col("n") / F.lit(float(bits))).alias("free"))
+
+
+#: Bytes of all pools together that are sent to all tasks at most.
+POOL_SEND = 64 << 20
 
 
-def pool_regain(df: DataFrame, bits: int, s: int, theta: int, least: int = 1, by: tuple[str, ...] = ()) -> DataFrame:
-    """Cores of the list with at least `least` contacts whose estimate reaches theta."""
-    listed = df.groupBy(*by, "core").agg(F.count("*").alias("n")).filter(F.col("n") >= least)
-    return pool_query(stored(pool_scan(df, bits, s, by)), listed, bits, s, by).filter(F.col("est") >= theta)
+def pool_query(pool: DataFrame, cores: DataFrame, bits: int, s: int, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by, core) of a stored list -> (core, touched, est): virtual bits that are set, less what the pool's fill explains.
+
+    A pool has a fixed size, so its words go to the rows of the list, whose positions are tested and counted in place: the list
+    is dealt by core already. Cores without a set bit are left out. Pools of very many `by` values are joined by bit instead.
+    """
+    own = F.greatest(F.lit(s) - F.col("touched"), F.lit(1)).cast("double") / F.lit(float(s))
+    parts = int(cores.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # each core is s tests: its rows are few, its work is not
+    listed, virtual = cores.select(*by, "core").distinct().repartition(parts, *by, "core"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(s - 1).cast("long")))
+    pools = pool.select(*by).distinct().count() if by else 1
+    if pools * bits // 8 <= POOL_SEND:
+        words = F.broadcast(stored(pool_words(pool, bits, by)))
+        met = listed.join(words, [*by]) if by else listed.crossJoin(words)  # one row without `by`
+        each = met.withColumn("v", virtual).withColumn("bit", _spot(F.col("core"), F.col("v"), bits))
+        hits = each.filter(F.getbit(F.get("words", F.shiftright("bit", 6).cast("int")), F.col("bit").bitwiseAND(63).cast("int")) == 1)
+        seen = hits.groupBy(*by, "core").agg(F.count("*").alias("touched"), F.first("free").alias("free"))
+    else:
+        each = listed.withColumn("v", virtual).withColumn("bit", _spot(F.col("core"), F.col("v"), bits))
+        hits = each.join(pool, [*by, "bit"]).groupBy(*by, "core").agg(F.count("*").alias("touched"))
+        fill = pool.groupBy(*by).agg((F.lit(1.0) - F.count("*") / F.lit(float(bits))).alias("free"))
+        seen = hits.join(fill, [*by]) if by else hits.crossJoin(fill)
+    return seen.select(*by, "core", "touched", F.round(F.lit(float(s)) * F.log("free") - F.lit(float(s)) * F.log(own), 6).alias("est"))
+
+
+def pool_regain(df: DataFrame, bits: int, s: int, theta: int, by: tuple[str, ...] = ()) -> DataFrame:
+    """Cores of the whole list whose estimate reaches theta."""
+    return pool_query(stored(pool_scan(df, bits, s, by)), df, bits, s, by).filter(F.col("est") >= theta)
 
 
 def builtin_ndv(df: DataFrame, kind: str = "hll") -> DataFrame:

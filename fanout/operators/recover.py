@@ -22,10 +22,14 @@ from .grid import CELL, hot_cells, merge_grids, query_grid, scan_grid
 from .linear import with_estimate
 
 
-def _row(hot: DataFrame, i: int, by: tuple[str, ...]) -> DataFrame:
-    """Hot cells of one row; without `by` at most 2^w, which is sent to all tasks."""
+#: Bytes of a row of hot cells that are sent to all tasks at most, by the bound that the grid's width sets.
+ROW_SEND = 32 << 20
+
+
+def _row(hot: DataFrame, i: int, p: GridParams, by: tuple[str, ...]) -> DataFrame:
+    """Hot cells of one row; without `by` at most 2^w, which is sent to all tasks while 2^w columns keep to ROW_SEND."""
     row = hot.filter(F.col("row_id") == i).select(*by, F.col("col_id").alias(f"c{i}"))
-    return row if by else F.broadcast(row)
+    return F.broadcast(row) if not by and 16 << p.w <= ROW_SEND else row
 
 
 def _key(i: int, p: GridParams) -> Column:
@@ -35,13 +39,13 @@ def _key(i: int, p: GridParams) -> Column:
 
 def extend_chains(chains: DataFrame, hot: DataFrame, i: int, p: GridParams, by: tuple[str, ...] = ()) -> DataFrame:
     """Chains of rows 0..i-1 -> chains of rows 0..i; works from row 2 on."""
-    new = _row(hot, i, by).withColumn("_low", F.col(f"c{i}").bitwiseAND(F.lit(p.overlap_mask)))
+    new = _row(hot, i, p, by).withColumn("_low", F.col(f"c{i}").bitwiseAND(F.lit(p.overlap_mask)))
     return chains.withColumn("_low", _key(i, p)).join(new, [*by, "_low"]).drop("_low")
 
 
 def start_chains(hot: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFrame:
     """Chains of rows 0, 1 and 2."""
-    first, second = hot.filter("row_id = 0").select(*by, F.col("col_id").alias("c0")), _row(hot, 1, by)
+    first, second = hot.filter("row_id = 0").select(*by, F.col("col_id").alias("c0")), _row(hot, 1, p, by)
     pairs = first.join(second, [*by]) if by else first.crossJoin(second)
     return extend_chains(pairs, hot, 2, p, by)
 
@@ -107,7 +111,7 @@ def regain_eager(state: DataFrame, p: GridParams) -> DataFrame:
 def regain_bruteforce(state: DataFrame, p: GridParams) -> DataFrame:
     """All choices of one hot cell a row, tested by rebuilding and hashing again: h^r of them, for tiny grids only."""
     hot = stored(hot_cells(state, p))
-    chains = reduce(lambda c, i: c.crossJoin(_row(hot, i, ())), range(1, p.r), hot.filter("row_id = 0").select(F.col("col_id").alias("c0")))
+    chains = reduce(lambda c, i: c.crossJoin(_row(hot, i, p, ())), range(1, p.r), hot.filter("row_id = 0").select(F.col("col_id").alias("c0")))
     found = chains.withColumn("core", rebuild([F.col(f"c{i}") for i in range(p.r)], p))
     fits = reduce(lambda a, b: a & b, (grid_column(F.col("core"), i, p) == F.col(f"c{i}") for i in range(p.r)))
     return _report(verify_chains(found.filter((F.col("core") < (1 << ADDRESS_BITS)) & fits), state, p), p, ())

@@ -39,17 +39,18 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-def wide(sf_dir: str, **more) -> GridParams:
-    """The large grid at the folder's threshold; with more hot cells a row than 2^8 it takes two bits more, so that chains do not multiply."""
-    return WIDE.with_(theta=theta("F6", sf_dir), **({"w": 16} if theta("F6", sf_dir) >= 512 else {}) | more)
+def wide(spark: SparkSession, sf_dir: str, **more) -> GridParams:
+    """The large grid at the threshold of the folder's documents."""
+    return WIDE.with_(theta=theta(spark, sf_dir, "F6"), **more)
 
 
-def small(sf_dir: str, **more) -> GridParams:
-    return SMALL.with_(theta=theta("F1", sf_dir), **more)
+def small(spark: SparkSession, sf_dir: str, **more) -> GridParams:
+    return SMALL.with_(theta=theta(spark, sf_dir, "F1"), **more)
 
 
-#: Parameters at the scale at which results are compared with SQL.
-W6, S1 = WIDE.with_(theta=128), SMALL.with_(theta=13)
+#: The same for SQL.
+W6, S1 = S.SqlGrid.of(WIDE, S.theta("F6")), S.SqlGrid.of(SMALL, S.theta("F1"))
+T1, T6 = S.theta("F1"), S.theta("F6")
 C = lambda f: S.With().contacts(f)
 
 
@@ -133,7 +134,7 @@ _PROFILE = """SELECT f.win, contacts, opps, cores, pairs, heavy FROM (SELECT win
 
 @query("traffic_profile", C("F3").add("x", S.fixed("c", 84, 12)).add("t", S.fan("x", ("win",))).select(_PROFILE.format(110)))
 def _(s, d):
-    return E.traffic_profile(fixed_window(contacts(s, d, "F3"), F3_SPAN, SHIP_SLOTS), theta("F3", d))
+    return E.traffic_profile(fixed_window(contacts(s, d, "F3"), F3_SPAN, SHIP_SLOTS), theta(s, d, "F3"))
 
 
 @query("normalise_directions", C("F3").select("SELECT core, opp, slot, router FROM c"))
@@ -166,34 +167,34 @@ def _(s, d):
     return E.racy_count(contacts(s, d, "F1"))
 
 
-@query("exact_heavy_fixed", C("F1").add("x", S.fixed("c", 3600, 300)).add("t", S.fan("x", ("win",))).select("SELECT * FROM t WHERE fan_out >= 13"))
+@query("exact_heavy_fixed", C("F1").add("x", S.fixed("c", 3600, 300)).add("t", S.fan("x", ("win",))).select(f"SELECT * FROM t WHERE fan_out >= {T1}"))
 def _(s, d):
-    return E.exact_heavy_fixed(contacts(s, d, "F1"), theta("F1", d), F1_SPAN, EVENT_SLOTS)
+    return E.exact_heavy_fixed(contacts(s, d, "F1"), theta(s, d, "F1"), F1_SPAN, EVENT_SLOTS)
 
 
-_HEAVY = {f: C(f).add("x", S.expanded("c", n, k)).add("t", S.fan("x", ("win",))).select(f"SELECT * FROM t WHERE fan_out >= {th}") for f, n, k, th in (("F1", 3600, 300, 13), ("F3", 84, 12, 110))}
+_HEAVY = {f: C(f).add("x", S.expanded("c", n, k)).add("t", S.fan("x", ("win",))).select(f"SELECT * FROM t WHERE fan_out >= {th}") for f, n, k, th in (("F1", 3600, 300, T1), ("F3", 84, 12, 110))}
 
 
 @query("exact_heavy_sliding_expand", _HEAVY["F3"])
 def _(s, d):
-    return E.exact_heavy_sliding(contacts(s, d, "F3"), theta("F3", d), F3_SPAN, SHIP_SLOTS, "expand")
+    return E.exact_heavy_sliding(contacts(s, d, "F3"), theta(s, d, "F3"), F3_SPAN, SHIP_SLOTS, "expand")
 
 
 @query("exact_heavy_sliding_sweep", _HEAVY["F1"])
 def _(s, d):
-    return E.exact_heavy_sliding(contacts(s, d, "F1"), theta("F1", d), F1_SPAN, EVENT_SLOTS)
+    return E.exact_heavy_sliding(contacts(s, d, "F1"), theta(s, d, "F1"), F1_SPAN, EVENT_SLOTS)
 
 
 @query("exact_sweep_ship", _HEAVY["F3"])
 def _(s, d):
-    return E.exact_heavy_sliding(contacts(s, d, "F3"), theta("F3", d), F3_SPAN, SHIP_SLOTS)
+    return E.exact_heavy_sliding(contacts(s, d, "F3"), theta(s, d, "F3"), F3_SPAN, SHIP_SLOTS)
 
 
 @query("detection_delay", C("F1").add("x", S.expanded("c", 3600, 300)).add("t", S.fan("x", ("win",))).add("y", S.fixed("c", 3600, 300)).add("u", S.fan("y", ("win",))).select(
-    """SELECT core, sliding_slot, fixed_slot, fixed_slot - sliding_slot AS delay FROM (SELECT core, min(win) + 299 AS sliding_slot FROM t WHERE fan_out >= 13 GROUP BY core)
-    LEFT JOIN (SELECT core, (min(win) + 1) * 300 - 1 AS fixed_slot FROM u WHERE fan_out >= 13 GROUP BY core) USING (core)"""))
+    f"""SELECT core, sliding_slot, fixed_slot, fixed_slot - sliding_slot AS delay FROM (SELECT core, min(win) + 299 AS sliding_slot FROM t WHERE fan_out >= {T1} GROUP BY core)
+    LEFT JOIN (SELECT core, (min(win) + 1) * 300 - 1 AS fixed_slot FROM u WHERE fan_out >= {T1} GROUP BY core) USING (core)"""))
 def _(s, d):
-    return E.detection_delay(contacts(s, d, "F1"), theta("F1", d), F1_SPAN, EVENT_SLOTS)
+    return E.detection_delay(contacts(s, d, "F1"), theta(s, d, "F1"), F1_SPAN, EVENT_SLOTS)
 
 
 # bitmaps
@@ -333,7 +334,7 @@ def _(s, d):
 
 @query("grid_hot_cells", C("F6").add("g", S.grid("c", W6)).select(S.hot("g", W6)))
 def _(s, d):
-    return G.hot_cells(G.scan_grid(contacts(s, d, "F6"), wide(d)), wide(d))
+    return G.hot_cells(G.scan_grid(contacts(s, d, "F6"), wide(s, d)), wide(s, d))
 
 
 @query("grid_age", C("F3").add("g", S.grid("c", W6)).select("SELECT row_id, col_id, rec, least(83 - last_slot + 5, 65535) AS age FROM g"))
@@ -357,19 +358,19 @@ _SHARDED = C("F6").add("x", "SELECT *, core % 4 AS shard FROM c")
 
 @query("grid_sharded", S.regain(_SHARDED, "x", W6, ("shard",)).select("SELECT * FROM found WHERE core % 4 = shard"))
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.regain_sharded(stored(G.scan_sharded(contacts(s, d, "F6"), p, 4)), p, 4)
 
 
 _SWEEP = [(2048, 14, 6, 5), (1024, 14, 6, 5), (512, 14, 6, 5), (2048, 16, 8, 4)]
 
 
-@query("grid_param_sweep", (lambda w: [w.add(f"g{i}", S.grid("c", GridParams(m=m, w=x, d=y, r=r, theta=128))) for i, (m, x, y, r) in enumerate(_SWEEP)] and w.select(" UNION ALL ".join(
-    f"SELECT {m} AS m, {x} AS w, {y} AS d, {r} AS r, count(*) AS hot, max(touched) AS widest FROM ({S.hot(f'g{i}', GridParams(m=m, w=x, d=y, r=r, theta=128))})" for i, (m, x, y, r) in enumerate(_SWEEP))))(C("F6")))
+@query("grid_param_sweep", (lambda w: [w.add(f"g{i}", S.grid("c", S.SqlGrid(m=m, w=x, d=y, r=r, theta=T6))) for i, (m, x, y, r) in enumerate(_SWEEP)] and w.select(" UNION ALL ".join(
+    f"SELECT {m} AS m, {x} AS w, {y} AS d, {r} AS r, count(*) AS hot, max(touched) AS widest FROM ({S.hot(f'g{i}', S.SqlGrid(m=m, w=x, d=y, r=r, theta=T6))})" for i, (m, x, y, r) in enumerate(_SWEEP))))(C("F6")))
 def _(s, d):
     c, out = stored(contacts(s, d, "F6")), None
     for m, w, dd, r in _SWEEP:
-        p = GridParams(m=m, w=w, d=dd, r=r, theta=theta("F6", d)).validate()
+        p = GridParams(m=m, w=w, d=dd, r=r, theta=theta(s, d, "F6")).validate()
         one = G.hot_cells(G.scan_grid(c, p), p).agg(*(F.lit(x).alias(k) for x, k in ((m, "m"), (w, "w"), (dd, "d"), (r, "r"))), F.count("*").alias("hot"), F.max("touched").alias("widest"))
         out = one if out is None else out.unionByName(one)
     return out
@@ -388,17 +389,16 @@ _FOUND6 = S.regain(C("F6"), "c", W6).select("SELECT * FROM found")
 
 @query("regain_levels", _FOUND6)
 def regain_levels(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.regain_levels(stored(G.scan_grid(contacts(s, d, "F6"), p)), p)
 
 
 #: Few hot cells: the whole period of the events.
-_T1 = 78
-_FEW = SMALL.with_(theta=_T1)
+_FEW = S1.with_(theta=f"6 * {T1}")
 
 
 def _few(s, d) -> tuple[DataFrame, GridParams]:
-    p = SMALL.with_(theta=6 * theta("F1", d))
+    p = SMALL.with_(theta=6 * theta(s, d, "F1"))
     return stored(G.scan_grid(contacts(s, d, "F1"), p)), p
 
 
@@ -409,19 +409,19 @@ def _(s, d):
 
 @query("regain_dfs", _FOUND6)
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.regain_dfs(stored(G.scan_grid(contacts(s, d, "F6"), p)), p)
 
 
 @query("regain_eager", _FOUND6)
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.regain_eager(stored(G.scan_grid(contacts(s, d, "F6"), p)), p)
 
 
 @query("regain_start_chains", C("F6").add("g", S.grid("c", W6)).add("h", S.hot("g", W6)).select(S.chains("h", W6, 2)))
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.start_chains(stored(G.hot_cells(G.scan_grid(contacts(s, d, "F6"), p), p)), p)
 
 
@@ -430,39 +430,39 @@ _LEVELS = C("F6").add("g", S.grid("c", W6)).add("h", S.hot("g", W6)).select(" UN
 
 @query("regain_extend_counts", _LEVELS)
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.chain_counts(stored(G.hot_cells(G.scan_grid(contacts(s, d, "F6"), p), p)), p)
 
 
 @query("even_split_sizes", C("F6").add("g", S.grid("c", W6)).add("h", S.hot("g", W6)).select(
     "SELECT worker, count(*) AS items FROM (SELECT (ntile(64) OVER (ORDER BY row_id, col_id)) - 1 AS worker FROM h) GROUP BY worker"))
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return V.even_split(G.hot_cells(G.scan_grid(contacts(s, d, "F6"), p), p), 64, "row_id", "col_id").groupBy("worker").agg(F.count("*").alias("items"))
 
 
 @query("regain_verified", S.regain(C("F6"), "c", W6).select("SELECT * FROM ver"))
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     g = stored(G.scan_grid(contacts(s, d, "F6"), p))
     return V.verify_chains(V.addresses(V.full_chains(stored(G.hot_cells(g, p)), p), p), g, p)
 
 
-_FREE = GridParams(m=1024, w=14, d=6, r=5, theta=128, root_check=False)
+_FREE = GridParams(m=1024, w=14, d=6, r=5, root_check=False)
 
 
-@query("regain_no_root_check", S.regain(C("F6"), "c", _FREE).select("SELECT * FROM found"))
+@query("regain_no_root_check", S.regain(C("F6"), "c", S.SqlGrid.of(_FREE, T6)).select("SELECT * FROM found"))
 def _(s, d):
-    p = _FREE.with_(theta=theta("F6", d))
+    p = _FREE.with_(theta=theta(s, d, "F6"))
     return V.regain_levels(stored(G.scan_grid(contacts(s, d, "F6"), p)), p)
 
 
-_LIT = GridParams(m=1024, w=14, d=6, r=5, theta=128, literal_shift=True)
+_LIT = GridParams(m=1024, w=14, d=6, r=5, literal_shift=True)
 
 
-@query("regain_literal_shift", S.regain(C("F6"), "c", _LIT).select("SELECT * FROM found"))
+@query("regain_literal_shift", S.regain(C("F6"), "c", S.SqlGrid.of(_LIT, T6)).select("SELECT * FROM found"))
 def _(s, d):
-    p = _LIT.with_(theta=theta("F6", d))
+    p = _LIT.with_(theta=theta(s, d, "F6"))
     return V.regain_levels(stored(G.scan_grid(contacts(s, d, "F6"), p)), p)
 
 
@@ -471,12 +471,12 @@ _WIN1 = S.regain(C("F1").add("x", S.expanded("c", 3600, 300)), "x", S1, ("win",)
 
 @query("regain_sliding_all", _WIN1.select("SELECT * FROM found"))
 def _(s, d):
-    return V.regain_sliding(contacts(s, d, "F1"), small(d, k=F1_SPAN), EVENT_SLOTS)
+    return V.regain_sliding(contacts(s, d, "F1"), small(s, d, k=F1_SPAN), EVENT_SLOTS)
 
 
 @query("detect_distributed", S.regain(C("F6"), "c", W6).select("SELECT * FROM found"))
 def _(s, d):
-    return V.detect(contacts(s, d, "F6"), wide(d))
+    return V.detect(contacts(s, d, "F6"), wide(s, d))
 
 
 _RESCAN = C("F6").add("g", S.grid("c", W6)).add("q", f"SELECT core, {S.root('core', 14)} AS c0 FROM (SELECT DISTINCT core FROM c)").add(
@@ -486,19 +486,19 @@ _RESCAN = C("F6").add("g", S.grid("c", W6)).add("q", f"SELECT core, {S.root('cor
 
 @query("regain_rescan", _RESCAN.select(S.report("v", W6)))
 def _(s, d):
-    p, c = wide(d), contacts(s, d, "F6")
+    p, c = wide(s, d), contacts(s, d, "F6")
     return V.rescan(c, stored(G.scan_grid(c, p)), p)
 
 
-@query("regain_ghosts", S.regain(C("F6"), "c", _FREE).select("SELECT * FROM found WHERE core NOT IN (SELECT core FROM c)"))
+@query("regain_ghosts", S.regain(C("F6"), "c", S.SqlGrid.of(_FREE, T6)).select("SELECT * FROM found WHERE core NOT IN (SELECT core FROM c)"))
 def _(s, d):
-    p, c = _FREE.with_(theta=theta("F6", d)), stored(contacts(s, d, "F6"))
+    p, c = _FREE.with_(theta=theta(s, d, "F6")), stored(contacts(s, d, "F6"))
     return V.ghosts(V.regain_levels(stored(G.scan_grid(c, p)), p), c)
 
 
 # competing detectors
 
-_CRT_G = S.crt(C("F6"), "c", 2048, 128, B.MODULI)
+_CRT_G = S.crt(C("F6"), "c", 2048, T6, B.MODULI)
 
 
 @query("crt_scan", _CRT_G.select("SELECT * FROM crt_g"))
@@ -508,7 +508,7 @@ def _(s, d):
 
 @query("crt_regain", _CRT_G.select("SELECT * FROM crt_found"))
 def _(s, d):
-    return B.crt_regain(stored(B.crt_scan(contacts(s, d, "F6"), 2048)), 2048, theta("F6", d))
+    return B.crt_regain(stored(B.crt_scan(contacts(s, d, "F6"), 2048)), 2048, theta(s, d, "F6"))
 
 
 _SLICE = S.slices(C("F6"), "c", W6)
@@ -521,12 +521,12 @@ def _(s, d):
 
 @query("slice_regain", _SLICE.select("SELECT * FROM sl_found"))
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     return B.slice_regain(stored(B.slice_scan(contacts(s, d, "F6"), p)), p)
 
 
-POOL_BITS, POOL_OWN, POOL_LEAST = 1 << 22, 1024, 8
-_POOL = S.pool(C("F6"), "c", POOL_BITS, POOL_OWN, 128, POOL_LEAST)
+POOL_BITS, POOL_OWN = 1 << 22, 1024
+_POOL = S.pool(C("F6"), "c", POOL_BITS, POOL_OWN, T6)
 
 
 @query("pool_scan", _POOL.select("SELECT * FROM po_p"))
@@ -536,7 +536,7 @@ def _(s, d):
 
 @query("pool_regain", _POOL.select("SELECT * FROM po_found"))
 def _(s, d):
-    return B.pool_regain(stored(contacts(s, d, "F6")), POOL_BITS, POOL_OWN, theta("F6", d), POOL_LEAST)
+    return B.pool_regain(stored(contacts(s, d, "F6")), POOL_BITS, POOL_OWN, theta(s, d, "F6"))
 
 
 @query("builtin_ndv_error")
@@ -556,12 +556,12 @@ def _(s, d):
 
 # measures
 
-_TRUTH6 = "SELECT core FROM c GROUP BY core HAVING count(DISTINCT opp) >= 128"
+_TRUTH6 = f"SELECT core FROM c GROUP BY core HAVING count(DISTINCT opp) >= {T6}"
 
 
-@query("acc_fixed", S.regain(C("F1").add("x", S.fixed("c", 3600, 300)), "x", S1, ("win",)).add("truth", "SELECT win, core FROM x GROUP BY ALL HAVING count(DISTINCT opp) >= 13").select(S.accuracy("found", "truth", ("win",))))
+@query("acc_fixed", S.regain(C("F1").add("x", S.fixed("c", 3600, 300)), "x", S1, ("win",)).add("truth", f"SELECT win, core FROM x GROUP BY ALL HAVING count(DISTINCT opp) >= {T1}").select(S.accuracy("found", "truth", ("win",))))
 def _(s, d):
-    x, p = stored(fixed_window(contacts(s, d, "F1"), F1_SPAN, EVENT_SLOTS)), small(d)
+    x, p = stored(fixed_window(contacts(s, d, "F1"), F1_SPAN, EVENT_SLOTS)), small(s, d)
     found = V.regain_levels(stored(G.scan_grid(x, p, ("win",))), p, ("win",))
     return A.accuracy(found, E.exact_fanout(x, ("win",)).filter(F.col("fan_out") >= p.theta), ("win",))
 
@@ -571,7 +571,7 @@ def _(s, d):
     "FROM (SELECT (SELECT count(*) FROM truth) AS n_true, (SELECT count(*) FROM everyone) AS n_found)"))
 def _(s, d):
     fan = stored(E.exact_fanout(contacts(s, d, "F6")))
-    return A.accuracy(fan, fan.filter(F.col("fan_out") >= theta("F6", d)))
+    return A.accuracy(fan, fan.filter(F.col("fan_out") >= theta(s, d, "F6")))
 
 
 @query("est_error", C("F6").add("t", S.fan("c")).add("e", f"SELECT core, {S.est(2048)} AS est FROM (SELECT core, count(DISTINCT {S.rec('opp', 2048)}) AS touched FROM c GROUP BY core)").select(
@@ -586,7 +586,7 @@ def _(s, d):
     "SELECT (SELECT count(*) FROM c) AS contacts, (SELECT count(*) FROM c) * 5 AS writes, " + " * ".join(f"(SELECT count(*) FROM h WHERE row_id = {i})" for i in range(3)) + " AS start_tests, "
     + ", ".join(f"(SELECT count(*) FROM ({S.chains('h', W6, i)})) AS chains_{i}" for i in (2, 3, 4))))
 def _(s, d):
-    p, c = wide(d), stored(contacts(s, d, "F6"))
+    p, c = wide(s, d), stored(contacts(s, d, "F6"))
     hot = stored(G.hot_cells(G.scan_grid(c, p), p))
     return A.work_counters(c, hot, V.chain_counts(hot, p), p)
 
@@ -605,5 +605,5 @@ def _(s, d):
     """SELECT win, count(*) FILTER (NOT b) AS entered, count(*) FILTER (NOT a) AS gone, count(*) FILTER (a AND b) AS stayed FROM (
     SELECT win, core, bool_or(k = 1) AS a, bool_or(k = 2) AS b FROM (SELECT win, core, 1 AS k FROM hv UNION ALL SELECT win + 1, core, 2 FROM hv) GROUP BY ALL) GROUP BY win"""))
 def _(s, d):
-    return E.heavy_transitions(stored(E.exact_heavy_sliding(contacts(s, d, "F3"), theta("F3", d), F3_SPAN, SHIP_SLOTS)))
+    return E.heavy_transitions(stored(E.exact_heavy_sliding(contacts(s, d, "F3"), theta(s, d, "F3"), F3_SPAN, SHIP_SLOTS)))
 

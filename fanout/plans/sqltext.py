@@ -2,12 +2,47 @@
 
 from __future__ import annotations
 
+from dataclasses import asdict, dataclass
+
 from ..functions.hashing import CODEC, POOL, PRIME, ROOT, salted
 from ..functions.params import GridParams, hot_cutoff
+from ..sources.contacts import THETA
 
 ROUTERS = "(SELECT {0}, row_number() OVER (ORDER BY {0}) - 1 AS router FROM (SELECT DISTINCT {0} FROM {1}))"
 
 
+def theta(fixture: str) -> str:
+    """The fixture's threshold as SQL, by the rows of its table."""
+    rule = THETA[fixture]
+    if isinstance(rule, int):
+        return str(rule)
+    name, share, of, least, most = rule
+    return f"(SELECT least({most}, greatest({least}, count(*) * {share} // {of})) FROM {name})"
+
+
+def cutoff(m: int, theta: int | str) -> str:
+    return repr(hot_cutoff(m, theta)) if isinstance(theta, int) else f"({m} * (1 - exp(-CAST({theta} AS DOUBLE) / {m})))"
+
+
+@dataclass(frozen=True)
+class SqlGrid(GridParams):
+    """Grid parameters whose threshold is SQL."""
+
+    theta: str = "1024"
+
+    @classmethod
+    def of(cls, p: GridParams, theta: str) -> SqlGrid:
+        return cls(**asdict(p) | {"theta": theta})
+
+    @property
+    def cutoff(self) -> str:
+        return cutoff(self.m, self.theta)
+
+    def validate(self) -> SqlGrid:
+        GridParams(**asdict(self) | {"theta": 1}).validate()
+        return self
+
+
 def mixed(x: str, consts: tuple[int, int, int, int]) -> str:
     a1, b1, a2, b2 = consts
     h = f"((({x}) * {a1} + {b1}) % {PRIME})"
@@ -103,7 +138,7 @@ def grid(src: str, p: GridParams, by: tuple[str, ...] = ()) -> str:
 
 
 def hot(g: str, p: GridParams, by: tuple[str, ...] = ()) -> str:
-    return f"SELECT {_by(by)}row_id, col_id, count(*) AS touched FROM {g} GROUP BY ALL HAVING count(*) >= {p.cutoff!r}"
+    return f"SELECT {_by(by)}row_id, col_id, count(*) AS touched FROM {g} GROUP BY ALL HAVING count(*) >= {p.cutoff}"
 
 
 def chains(h: str, p: GridParams, upto: int | None = None, by: tuple[str, ...] = ()) -> str:
@@ -129,7 +164,7 @@ def verified(ad: str, g: str, p: GridParams, by: tuple[str, ...] = (), least: fl
     cut = p.cutoff if least is None else least
     return f"""SELECT {_by(by)}{cols}, core, count(*) AS touched FROM (SELECT {_by(by, 'a.')}{cols}, core, rec
         FROM (SELECT *, unnest([{cols}]) AS col_id, unnest(range({p.r})) AS row_id FROM {ad}) a JOIN {g} g ON g.row_id = a.row_id AND g.col_id = a.col_id{same('g', 'a', by)}
-        GROUP BY ALL HAVING count(*) = {p.r}) GROUP BY ALL HAVING count(*) >= {cut!r}"""
+        GROUP BY ALL HAVING count(*) = {p.r}) GROUP BY ALL HAVING count(*) >= {cut}"""
 
 
 def report(v: str, p: GridParams, by: tuple[str, ...] = ()) -> str:
@@ -161,18 +196,18 @@ def accuracy(found: str, truth: str, by: tuple[str, ...] = (), more: str = "") -
         (SELECT count(*) FROM {truth} t WHERE {match('t')} AND {none('t', found)}) AS n_missed FROM {keys} k)"""
 
 
-def crt(w: With, src: str, m: int, theta: int, moduli: tuple[int, ...], by: tuple[str, ...] = (), tag: str = "crt") -> With:
+def crt(w: With, src: str, m: int, theta: int | str, moduli: tuple[int, ...], by: tuple[str, ...] = (), tag: str = "crt") -> With:
     """Products of hot cells, a sum of multiples for the address, and one test of all rows at the end plus one after two rows."""
-    cut = hot_cutoff(m, theta)
+    cut = cutoff(m, theta)
     w.add(f"{tag}_g", " UNION ALL ".join(f"SELECT DISTINCT {_by(by)}{i} AS row_id, core % {q} AS col_id, {rec('opp', m)} AS rec FROM {src}" for i, q in enumerate(moduli)))
-    w.add(f"{tag}_h", f"SELECT {_by(by)}row_id, col_id FROM {tag}_g GROUP BY ALL HAVING count(*) >= {cut!r}")
+    w.add(f"{tag}_h", f"SELECT {_by(by)}row_id, col_id FROM {tag}_g GROUP BY ALL HAVING count(*) >= {cut}")
     w.add(f"{tag}_b", f"SELECT g.* FROM {tag}_g g JOIN {tag}_h h ON g.row_id = h.row_id AND g.col_id = h.col_id{same('g', 'h', by)}")
-    w.add(f"{tag}_2", f"SELECT {_by(by, 'a.')}a.col_id AS c0, b.col_id AS c1 FROM {tag}_b a JOIN {tag}_b b ON a.row_id = 0 AND b.row_id = 1 AND a.rec = b.rec{same('a', 'b', by)} GROUP BY ALL HAVING count(*) >= {cut!r}")
+    w.add(f"{tag}_2", f"SELECT {_by(by, 'a.')}a.col_id AS c0, b.col_id AS c1 FROM {tag}_b a JOIN {tag}_b b ON a.row_id = 0 AND b.row_id = 1 AND a.rec = b.rec{same('a', 'b', by)} GROUP BY ALL HAVING count(*) >= {cut}")
     w.add(
         f"{tag}_3",
         f"""SELECT {_by(by, 'p.')}c0, c1, d.col_id AS c2, count(*) AS touched FROM {tag}_2 p JOIN {tag}_b a ON a.row_id = 0 AND a.col_id = c0{same('a', 'p', by)}
         JOIN {tag}_b b ON b.row_id = 1 AND b.col_id = c1 AND b.rec = a.rec{same('b', 'p', by)} JOIN {tag}_b d ON d.row_id = 2 AND d.rec = a.rec{same('d', 'p', by)}
-        GROUP BY ALL HAVING count(*) >= {cut!r}""",
+        GROUP BY ALL HAVING count(*) >= {cut}""",
     )
     total = moduli[0] * moduli[1] * moduli[2]
     x = " + ".join(f"c{i}::HUGEINT * {total // q * pow(total // q, -1, q)}::HUGEINT" for i, q in enumerate(moduli))
@@ -182,7 +217,7 @@ def crt(w: With, src: str, m: int, theta: int, moduli: tuple[int, ...], by: tupl
 def slices(w: With, src: str, p: GridParams, by: tuple[str, ...] = (), tag: str = "sl") -> With:
     rows = range(1, p.r)
     w.add(f"{tag}_g", " UNION ALL ".join(f"SELECT DISTINCT {_by(by)}{i} AS row_id, (core >> {p.shift(i)}) & {p.mask} AS col_id, {rec('opp', p.m)} AS rec FROM {src}" for i in rows))
-    w.add(f"{tag}_h", f"SELECT {_by(by)}row_id, col_id FROM {tag}_g GROUP BY ALL HAVING count(*) >= {p.cutoff!r}")
+    w.add(f"{tag}_h", f"SELECT {_by(by)}row_id, col_id FROM {tag}_g GROUP BY ALL HAVING count(*) >= {p.cutoff}")
     sql = f"SELECT {_by(by, 'h1.')}" + ", ".join(f"h{i}.col_id AS c{i}" for i in rows) + f", {' | '.join(f'(h{i}.col_id << {p.shift(i)})' for i in rows)} AS core FROM (SELECT * FROM {tag}_h WHERE row_id = 1) h1"
     for i in rows[1:]:
         sql += f" JOIN (SELECT * FROM {tag}_h WHERE row_id = {i}) h{i} ON (h{i - 1}.col_id >> {p.d}) = (h{i}.col_id & {p.overlap_mask}){same('h1', f'h{i}', by)}"
@@ -191,15 +226,15 @@ def slices(w: With, src: str, p: GridParams, by: tuple[str, ...] = (), tag: str
     w.add(
         f"{tag}_v",
         f"""SELECT {_by(by)}core, count(*) AS touched FROM (SELECT {_by(by, 'a.')}core, rec FROM (SELECT *, unnest([{cols}]) AS col_id, unnest(range(1, {p.r})) AS row_id FROM {tag}_c) a
-        JOIN {tag}_g g ON g.row_id = a.row_id AND g.col_id = a.col_id{same('g', 'a', by)} GROUP BY ALL HAVING count(*) = {p.r - 1}) GROUP BY ALL HAVING count(*) >= {p.cutoff!r}""",
+        JOIN {tag}_g g ON g.row_id = a.row_id AND g.col_id = a.col_id{same('g', 'a', by)} GROUP BY ALL HAVING count(*) = {p.r - 1}) GROUP BY ALL HAVING count(*) >= {p.cutoff}""",
     )
     return w.add(f"{tag}_found", f"SELECT {_by(by)}core, touched, {est(p.m)} AS est, touched >= {p.m} AS saturated FROM {tag}_v")
 
 
-def pool(w: With, src: str, bits: int, s: int, theta: int, least: int, by: tuple[str, ...] = (), tag: str = "po") -> With:
+def pool(w: With, src: str, bits: int, s: int, theta: int | str, by: tuple[str, ...] = (), tag: str = "po") -> With:
     spot = lambda v: f"({mixed(f'xor(core, ({v}) * 2654435761 & 4294967295)', POOL)} % {bits})"
     w.add(f"{tag}_p", f"SELECT DISTINCT {_by(by)}{spot(rec('opp', s))} AS bit FROM {src}")
-    w.add(f"{tag}_l", f"SELECT {_by(by)}core FROM {src} GROUP BY ALL HAVING count(*) >= {least}")
+    w.add(f"{tag}_l", f"SELECT DISTINCT {_by(by)}core FROM {src}")
     w.add(f"{tag}_q", f"SELECT {_by(by, 'l.')}core, count(*) AS touched FROM (SELECT {_by(by)}core, {spot('v')} AS bit FROM {tag}_l, (SELECT unnest(range({s})) AS v)) l JOIN {tag}_p p ON l.bit = p.bit{same('l', 'p', by)} GROUP BY ALL")
     w.add(f"{tag}_f", f"SELECT {_by(by)}1.0 - count(*) / {bits}.0 AS free FROM {tag}_p GROUP BY ALL" if by else f"SELECT 1.0 - count(*) / {bits}.0 AS free FROM {tag}_p")
     e = f"round({s}.0 * ln(free) - {s}.0 * ln(greatest({s} - touched, 1) / {s}.0), 6)"

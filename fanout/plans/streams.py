@@ -47,7 +47,7 @@ def _(s, d):
 
 @query("stream_heavy_report", S.regain(C("F1").add("x", "SELECT * FROM c WHERE slot > (SELECT max(slot) FROM c) - 300"), "x", S1).select("SELECT *, (SELECT max(slot) FROM c) AS slot FROM found"))
 def _(s, d):
-    return L.heavy_report(L.event_stream(s, d).select("core", "opp", "slot"), SMALL.with_(theta=theta("F1", d), k=300))
+    return L.heavy_report(L.event_stream(s, d).select("core", "opp", "slot"), SMALL.with_(theta=theta(s, d, "F1"), k=300))
 
 
 @query("stream_late_merge", C("F1").select(S.grid("c", S1)))

@@ -18,21 +18,21 @@ from ..operators import recover as V
 from ..sources.contacts import EVENT_SLOTS, SHIP_SLOTS, contacts, theta, tokens
 from ..sources.storage import stored, table
 from . import sqltext as S
-from .methods import C, F1_SPAN, F3_SPAN, POOL_BITS, POOL_LEAST, POOL_OWN, S1, SMALL, W6, WIDE, query, small, wide
+from .methods import C, F1_SPAN, F3_SPAN, POOL_BITS, POOL_OWN, S1, SMALL, T1, T6, W6, WIDE, query, small, wide
 
 #: The pool for the events of one block.
 BLOCK_BITS, BLOCK_OWN = 1 << 18, 256
-_PROFILE = """SELECT f.win, contacts, opps, cores, pairs, heavy FROM (SELECT win, count(*) AS contacts, count(DISTINCT opp) AS opps FROM x GROUP BY win) f
-    JOIN (SELECT win, count(*) AS cores, sum(fan_out)::BIGINT AS pairs, count(*) FILTER (fan_out >= 13) AS heavy FROM t GROUP BY win) g USING (win)"""
+_PROFILE = f"""SELECT f.win, contacts, opps, cores, pairs, heavy FROM (SELECT win, count(*) AS contacts, count(DISTINCT opp) AS opps FROM x GROUP BY win) f
+    JOIN (SELECT win, count(*) AS cores, sum(fan_out)::BIGINT AS pairs, count(*) FILTER (fan_out >= {T1}) AS heavy FROM t GROUP BY win) g USING (win)"""
 
 
-def detectors(c: DataFrame, p: GridParams, bits: int, own: int, least: int, by: tuple[str, ...] = ()) -> dict[str, DataFrame]:
+def detectors(c: DataFrame, p: GridParams, bits: int, own: int, by: tuple[str, ...] = ()) -> dict[str, DataFrame]:
     """What each detector finds in the contacts, as (by, core)."""
     return {
         "grid": V.regain_levels(stored(G.scan_grid(c, p, by)), p, by),
         "crt": B.crt_regain(stored(B.crt_scan(c, p.m, B.MODULI, by)), p.m, p.theta, B.MODULI, by),
         "slice": B.slice_regain(stored(B.slice_scan(c, p, by)), p, by),
-        "pool": B.pool_regain(c, bits, own, p.theta, least, by),
+        "pool": B.pool_regain(c, bits, own, p.theta, by=by),
     }
 
 
@@ -41,11 +41,11 @@ def compared(found: dict[str, DataFrame], truth: DataFrame, by: tuple[str, ...]
     return reduce(DataFrame.unionByName, scores)
 
 
-def _compare_sql(w: S.With, src: str, p: GridParams, bits: int, own: int, least: int, by: tuple[str, ...]) -> S.With:
+def _compare_sql(w: S.With, src: str, p: GridParams, bits: int, own: int, by: tuple[str, ...]) -> S.With:
     S.regain(w, src, p, by)
     S.crt(w, src, p.m, p.theta, B.MODULI, by)
     S.slices(w, src, p, by)
-    S.pool(w, src, bits, own, p.theta, least, by)
+    S.pool(w, src, bits, own, p.theta, by)
     keys = "".join(f"{b}, " for b in by)
     w.add("truth", f"SELECT {keys}core FROM {src} GROUP BY ALL HAVING count(DISTINCT opp) >= {p.theta}")
     each = (("grid", "found"), ("crt", "crt_found"), ("slice", "sl_found"), ("pool", "po_found"))
@@ -53,17 +53,17 @@ def _compare_sql(w: S.With, src: str, p: GridParams, bits: int, own: int, least:
 
 
 _MEANS = "round(avg(fpr), 6) AS mean_fpr, round(avg(fnr), 6) AS mean_fnr, round(avg(tfr), 6) AS mean_tfr"
-_FIXED = _compare_sql(C("F1").add("x", S.fixed("c", 3600, 300)), "x", S1, BLOCK_BITS, BLOCK_OWN, 1, ("win",))
+_FIXED = _compare_sql(C("F1").add("x", S.fixed("c", 3600, 300)), "x", S1, BLOCK_BITS, BLOCK_OWN, ("win",))
 
 
 @query("w_traffic_12", C("F1").add("x", S.fixed("c", 3600, 300)).add("t", S.fan("x", ("win",))).select(_PROFILE))
 def _(s, d):
-    return E.traffic_profile(fixed_window(contacts(s, d, "F1"), F1_SPAN, EVENT_SLOTS), theta("F1", d))
+    return E.traffic_profile(fixed_window(contacts(s, d, "F1"), F1_SPAN, EVENT_SLOTS), theta(s, d, "F1"))
 
 
 def _fixed_scores(s, d) -> DataFrame:
-    x, p = stored(fixed_window(contacts(s, d, "F1"), F1_SPAN, EVENT_SLOTS)), small(d)
-    return compared(detectors(x, p, BLOCK_BITS, BLOCK_OWN, 1, ("win",)), stored(E.exact_fanout(x, ("win",)).filter(F.col("fan_out") >= p.theta)), ("win",))
+    x, p = stored(fixed_window(contacts(s, d, "F1"), F1_SPAN, EVENT_SLOTS)), small(s, d)
+    return compared(detectors(x, p, BLOCK_BITS, BLOCK_OWN, ("win",)), stored(E.exact_fanout(x, ("win",)).filter(F.col("fan_out") >= p.theta)), ("win",))
 
 
 @query("w_fixed_compare", _FIXED.select("SELECT * FROM scores"))
@@ -76,10 +76,10 @@ def _(s, d):
     return A.accuracy_summary(_fixed_scores(s, d))
 
 
-@query("w_skew_compare", _compare_sql(C("F6"), "c", W6, POOL_BITS, POOL_OWN, POOL_LEAST, ()).select("SELECT * FROM scores"))
+@query("w_skew_compare", _compare_sql(C("F6"), "c", W6, POOL_BITS, POOL_OWN, ()).select("SELECT * FROM scores"))
 def _(s, d):
-    c, p = stored(contacts(s, d, "F6")), wide(d)
-    return compared(detectors(c, p, POOL_BITS, POOL_OWN, POOL_LEAST), stored(E.exact_fanout(c).filter(F.col("fan_out") >= p.theta)))
+    c, p = stored(contacts(s, d, "F6")), wide(s, d)
+    return compared(detectors(c, p, POOL_BITS, POOL_OWN), stored(E.exact_fanout(c).filter(F.col("fan_out") >= p.theta)))
 
 
 def _slid(fixture: str, n: int, k: int, p: GridParams) -> S.With:
@@ -99,7 +99,7 @@ _SLIDE1, _SLIDE3 = _slid("F1", 3600, 300, S1), _slid("F3", 84, 12, W12)
 
 def _sliding_scores(s, d, fixture: str) -> DataFrame:
     c = contacts(s, d, fixture)
-    p, n = (small(d, k=F1_SPAN), EVENT_SLOTS) if fixture == "F1" else (WIDE.with_(theta=theta("F3", d), k=F3_SPAN), SHIP_SLOTS)
+    p, n = (small(s, d, k=F1_SPAN), EVENT_SLOTS) if fixture == "F1" else (WIDE.with_(theta=theta(s, d, "F3"), k=F3_SPAN), SHIP_SLOTS)
     return A.accuracy(V.regain_sliding(c, p, n), E.exact_heavy_sliding(c, p.theta, p.k, n), ("win",))
 
 
@@ -126,29 +126,29 @@ def _(s, d):
 @query("w_fixed_is_sliding", S.regain(C("F1").add("x", S.fixed("c", 3600, 300)), "x", S1, ("win",)).select("SELECT win, core, touched, touched AS sliding_touched FROM found"))
 def _(s, d):
     c = stored(contacts(s, d, "F1"))
-    p = small(d)
+    p = small(s, d)
     blocks = V.regain_levels(stored(G.scan_grid(fixed_window(c, F1_SPAN, EVENT_SLOTS), p, ("win",))), p, ("win",)).select("win", "core", "touched")
     at = V.regain_sliding(c, p.with_(k=F1_SPAN), EVENT_SLOTS).filter(F.col("win") % F1_SPAN == 0)
     return blocks.join(at.select(F.expr(f"win div {F1_SPAN}").alias("win"), "core", F.col("touched").alias("sliding_touched")), ["win", "core"], "full")
 
 
-_ROUTED = S.regain(S.regain(S.regain(C("F1").contacts("F6", "c6").contacts("F3", "c3"), "c", S1.with_(theta=78), (), "_1"), "c6", W6, (), "_6"), "c3", WIDE.with_(theta=540), (), "_3")
+_ROUTED = S.regain(S.regain(S.regain(C("F1").contacts("F6", "c6").contacts("F3", "c3"), "c", S1.with_(theta=f"6 * {T1}"), (), "_1"), "c6", W6, (), "_6"), "c3", WIDE.with_(theta=540), (), "_3")
 
 
 @query("w_routers", _ROUTED.select(" UNION ALL ".join(f"SELECT '{f}' AS fixture, core, touched, est, saturated FROM found_{f[1]}" for f in ("F1", "F6", "F3"))))
 def _(s, d):
-    sets = (("F1", SMALL.with_(theta=6 * theta("F1", d))), ("F6", wide(d)), ("F3", WIDE.with_(theta=theta("F3_all", d))))
+    sets = (("F1", SMALL.with_(theta=6 * theta(s, d, "F1"))), ("F6", wide(s, d)), ("F3", WIDE.with_(theta=theta(s, d, "F3_all"))))
     return reduce(DataFrame.unionByName, (V.detect(contacts(s, d, f), p).withColumn("fixture", F.lit(f)) for f, p in sets))
 
 
-_MEMORY = S.pool(S.slices(S.crt(C("F6").add("g", S.grid("c", W6)), "c", 2048, 128, B.MODULI), "c", W6), "c", POOL_BITS, POOL_OWN, 128, POOL_LEAST)
+_MEMORY = S.pool(S.slices(S.crt(C("F6").add("g", S.grid("c", W6)), "c", 2048, T6, B.MODULI), "c", W6), "c", POOL_BITS, POOL_OWN, T6)
 
 
 @query("w_memory", _MEMORY.select(f"""SELECT 'grid' AS detector, {2 * 5 * (1 << 14) * 2048} AS dense_bytes, (SELECT count(*) FROM g) AS sparse_rows
     UNION ALL SELECT 'crt', {sum(B.MODULI) * 2048 // 8}, (SELECT count(*) FROM crt_g) UNION ALL SELECT 'slice', {4 * (1 << 14) * 2048 // 8}, (SELECT count(*) FROM sl_g)
     UNION ALL SELECT 'pool', {POOL_BITS // 8}, (SELECT count(*) FROM po_p)"""))
 def _(s, d):
-    c, p = stored(contacts(s, d, "F6")), wide(d)
+    c, p = stored(contacts(s, d, "F6")), wide(s, d)
     held = (
         ("grid", 2 * p.r * (1 << p.w) * p.m, G.scan_grid(c, p)), ("crt", sum(B.MODULI) * p.m // 8, B.crt_scan(c, p.m)),
         ("slice", (p.r - 1) * (1 << p.w) * p.m // 8, B.slice_scan(c, p)), ("pool", POOL_BITS // 8, B.pool_scan(c, POOL_BITS, POOL_OWN)),
@@ -170,17 +170,17 @@ def _sharded_sql() -> str:
 
 @query("w_sharded", _sharded_sql())
 def _(s, d):
-    c, p = stored(contacts(s, d, "F6")), wide(d)
+    c, p = stored(contacts(s, d, "F6")), wide(s, d)
     each = (V.regain_sharded(stored(G.scan_sharded(c, p, g)), p, g).select(F.lit(g).alias("shards"), "core", "touched") for g in _SHARDS)
     return reduce(DataFrame.unionByName, each)
 
 
-_FEW = S1.with_(theta=78)
+_FEW = S1.with_(theta=f"6 * {T1}")
 
 
 @query("w_recovery_agree", S.regain(C("F1"), "c", _FEW).select(" UNION ALL ".join(f"SELECT '{k}' AS how, core, touched FROM found" for k in ("levels", "depth", "eager", "brute"))))
 def _(s, d):
-    p = SMALL.with_(theta=6 * theta("F1", d))
+    p = SMALL.with_(theta=6 * theta(s, d, "F1"))
     g = stored(G.scan_grid(contacts(s, d, "F1"), p))
     ways = {"levels": V.regain_levels(g, p), "depth": V.regain_dfs(g, p), "eager": V.regain_eager(g, p), "brute": V.regain_bruteforce(g, p)}
     return reduce(DataFrame.unionByName, (f.select(F.lit(k).alias("how"), "core", "touched") for k, f in ways.items()))
@@ -191,12 +191,12 @@ _OFFSETS = (0, 60, 120, 180, 240)
 
 @query("w_start_offset", C("F1").select(" UNION ALL ".join(
     f"""SELECT {o} AS start_slot, count(*) AS heavy_blocks, count(DISTINCT core) AS cores FROM (SELECT (slot - {o}) // 300 AS win, core FROM c
-    WHERE slot >= {o} AND slot < {o + (3600 - o) // 300 * 300} GROUP BY ALL HAVING count(DISTINCT opp) >= 13)""" for o in _OFFSETS)))
+    WHERE slot >= {o} AND slot < {o + (3600 - o) // 300 * 300} GROUP BY ALL HAVING count(DISTINCT opp) >= {T1})""" for o in _OFFSETS)))
 def _(s, d):
     c = stored(contacts(s, d, "F1"))
     out = []
     for o in _OFFSETS:
-        heavy = E.exact_heavy_fixed(c.withColumn("slot", F.col("slot") - o), theta("F1", d), F1_SPAN, EVENT_SLOTS - o)
+        heavy = E.exact_heavy_fixed(c.withColumn("slot", F.col("slot") - o), theta(s, d, "F1"), F1_SPAN, EVENT_SLOTS - o)
         out.append(heavy.agg(F.lit(o).alias("start_slot"), F.count("*").alias("heavy_blocks"), F.countDistinct("core").alias("cores")))
     return reduce(DataFrame.unionByName, out)
 
@@ -226,7 +226,7 @@ _ABLATION = {
 
 
 def _ablation_sql() -> str:
-    w = C("F6").add("truth", "SELECT core FROM c GROUP BY core HAVING count(DISTINCT opp) >= 128")
+    w = C("F6").add("truth", f"SELECT core FROM c GROUP BY core HAVING count(DISTINCT opp) >= {T6}")
     for k, p in _ABLATION.items():
         S.regain(w, "c", p, (), f"_{k}")
     return w.select(" UNION ALL ".join(f"({S.accuracy(f'found_{k}', 'truth', (), f"'{k}' AS variant, ")})" for k in _ABLATION))
@@ -235,8 +235,8 @@ def _ablation_sql() -> str:
 @query("w_ablation", _ablation_sql())
 def _(s, d):
     c = stored(contacts(s, d, "F6"))
-    truth = stored(E.exact_fanout(c).filter(F.col("fan_out") >= theta("F6", d)))
-    each = (A.accuracy(V.regain_levels(stored(G.scan_grid(c, q)), q), truth).withColumn("variant", F.lit(k)) for k, p in _ABLATION.items() for q in [p.with_(theta=theta("F6", d))])
+    truth = stored(E.exact_fanout(c).filter(F.col("fan_out") >= theta(s, d, "F6")))
+    each = (A.accuracy(V.regain_levels(stored(G.scan_grid(c, q)), q), truth).withColumn("variant", F.lit(k)) for k, p in _ABLATION.items() for q in [p.with_(theta=theta(s, d, "F6"))])
     return reduce(DataFrame.unionByName, each)
 
 
@@ -245,7 +245,7 @@ def _(s, d):
     FROM (SELECT doc_id, lang, n_chars, unnest(list_distinct(regexp_extract_all(lower(text), '[a-z]+'))) AS token FROM documents) LEFT JOIN labels USING (doc_id)
     WHERE {S.key32('token')} IN (SELECT core FROM found) GROUP BY token"""))
 def _(s, d):
-    p = wide(d)
+    p = wide(s, d)
     heavy = V.regain_levels(stored(G.scan_grid(contacts(s, d, "F6"), p)), p).select("core")
     each = table(s, d, "documents").select("doc_id", "lang", "n_chars", F.explode(tokens()).alias("token")).withColumn("core", key32(F.col("token")))
     seen = each.join(heavy, "core", "left_semi").join(table(s, d, "labels").select("doc_id", "toxic"), "doc_id", "left")

@@ -11,19 +11,18 @@ from .storage import table
 
 EVENT_ORIGIN, EVENT_SLOT, EVENT_SLOTS = "2024-01-01 00:00:00", 720, 3_600
 SHIP_ORIGIN, SHIP_SLOT, SHIP_SLOTS = "1995-01-01 00:00:00", 30 * 86_400, 84
-#: Threshold by fixture and scale.
-THETA = {
-    "F1": {"sf0.001": 4, "sf0.01": 13, "sf0.1": 100},
-    "F3": {"sf0.001": 60, "sf0.01": 110, "sf0.1": 110},
-    "F3_all": {"sf0.001": 190, "sf0.01": 540, "sf0.1": 640},
-    "F6": {"sf0.001": 32, "sf0.01": 128, "sf0.1": 512},
-}
-
-
-def theta(fixture: str, sf_dir: str) -> int:
-    """The fixture's threshold at the scale of the folder; that of 0.01 for folders of another name."""
-    by = THETA[fixture]
-    return by.get(sf_dir.rstrip("/").rsplit("/", 1)[-1], by["sf0.01"])
+#: Thresholds. (table, share, of, least, most): share in `of` rows of the table, within bounds, so that any folder has its own by its rows;
+#: the most is the published threshold. A number: suppliers grow with their table and their fan-out does not.
+THETA: dict[str, tuple[str, int, int, int, int] | int] = {"F1": ("events", 13, 10_000, 4, 1_024), "F3": 110, "F3_all": 540, "F6": ("documents", 128, 1_000, 32, 1_024)}
+
+
+def theta(spark: SparkSession, sf_dir: str, fixture: str) -> int:
+    """The fixture's threshold for the tables of a folder, from the number of rows in their footers."""
+    rule = THETA[fixture]
+    if isinstance(rule, int):
+        return rule
+    name, share, of, least, most = rule
+    return min(most, max(least, table(spark, sf_dir, name).count() * share // of))
 
 
 def ranked(df: DataFrame, name: str, out: str) -> DataFrame:
