@@ -16,8 +16,8 @@ def theta(fixture: str) -> str:
     rule = THETA[fixture]
     if isinstance(rule, int):
         return str(rule)
-    name, share, of, least, most = rule
-    return f"(SELECT least({most}, greatest({least}, count(*) * {share} // {of})) FROM {name})"
+    name, rows, spread, least, most = rule
+    return f"(SELECT least({most}, greatest({least}, CAST(floor(count(*) / {rows} + {spread} * sqrt(count(*) / {rows})) AS BIGINT))) FROM {name})"
 
 
 def cutoff(m: int, theta: int | str) -> str:

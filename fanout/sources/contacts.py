@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from math import sqrt
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -11,9 +13,10 @@ from .storage import table
 
 EVENT_ORIGIN, EVENT_SLOT, EVENT_SLOTS = "2024-01-01 00:00:00", 720, 3_600
 SHIP_ORIGIN, SHIP_SLOT, SHIP_SLOTS = "1995-01-01 00:00:00", 30 * 86_400, 84
-#: Thresholds. (table, share, of, least, most): share in `of` rows of the table, within bounds, so that any folder has its own by its rows;
-#: the most is the published threshold. A number: suppliers grow with their table and their fan-out does not.
-THETA: dict[str, tuple[str, int, int, int, int] | int] = {"F1": ("events", 13, 10_000, 4, 1_024), "F3": 110, "F3_all": 540, "F6": ("documents", 128, 1_000, 32, 1_024)}
+#: Thresholds. (table, rows, spread, least, most): with l = rows of the table / rows, l + spread * sqrt(l) within bounds, so that any
+#: folder has its own; the most is the published threshold. Events are l contacts of a key in each block of 300 slots, evenly, and
+#: heavy keys stand out by the spread. A number: suppliers grow with their table and their fan-out does not.
+THETA: dict[str, tuple[str, float, float, int, int] | int] = {"F1": ("events", 1_200.0, 1.7, 4, 1_024), "F3": 110, "F3_all": 540, "F6": ("documents", 7.8125, 0.0, 32, 1_024)}
 
 
 def theta(spark: SparkSession, sf_dir: str, fixture: str) -> int:
@@ -21,8 +24,9 @@ def theta(spark: SparkSession, sf_dir: str, fixture: str) -> int:
     rule = THETA[fixture]
     if isinstance(rule, int):
         return rule
-    name, share, of, least, most = rule
-    return min(most, max(least, table(spark, sf_dir, name).count() * share // of))
+    name, rows, spread, least, most = rule
+    load = table(spark, sf_dir, name).count() / rows
+    return min(most, max(least, int(load + spread * sqrt(load))))
 
 
 def ranked(df: DataFrame, name: str, out: str) -> DataFrame:
