@@ -3,10 +3,10 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import whole
+from .common import stored, whole
 
 THRESHOLD = 0.3
 
@@ -35,8 +35,14 @@ def sample_texts(docs: DataFrame, ids: DataFrame, most_bytes: int | None = None)
     texts = docs.select("doc_id", whole("text").alias("t")).join(F.broadcast(ids), "doc_id").groupBy("doc_id", "y").agg(F.min("t").alias("t"))
     if most_bytes is None:
         return texts
-    before = Window.partitionBy("y").orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, -1)
-    return texts.withColumn("n", F.coalesce(F.sum(F.octet_length("t").cast("long")).over(before), F.lit(0))).filter(F.col("n") < most_bytes).drop("n")
+    texts, _ = stored(texts.withColumn("n", F.octet_length("t")).withColumn("o", F.xxhash64("doc_id")))
+    used, kept = {}, []
+    for r in sorted(texts.select("doc_id", "y", "n", "o").collect(), key=lambda r: (r["o"], r["doc_id"])):  # as many rows as the sample has
+        if used.get(r["y"], 0) < most_bytes:
+            kept.append((r["doc_id"],))
+        used[r["y"]] = used.get(r["y"], 0) + r["n"]
+    some = docs.sparkSession.createDataFrame(kept, texts.select("doc_id").schema)
+    return texts.join(F.broadcast(some), "doc_id").select("doc_id", "y", "t")
 
 
 def logistic(x: np.ndarray, y: np.ndarray, lasso: float = 0.0, rounds: int = 400) -> tuple[np.ndarray, float]:
