@@ -74,11 +74,11 @@ def _loads(dictionary: bytes) -> bool:
 
 
 def content(dictionary: bytes) -> bytes:
-    """What follows the entropy tables of a trained dictionary: the shortest beginning that loads has 8 bytes of it."""
+    """What follows the entropy tables of a trained dictionary: the shortest beginning that loads has 8 bytes of it; empty where there is less."""
     for n in range(9, min(len(dictionary), 4_096)):
         if _loads(dictionary[:n]):
             return dictionary[n - 8 :]
-    raise ValueError("no dictionary")
+    return b""
 
 
 def _trained(samples: list[bytes], size: int, **how) -> bytes:
@@ -86,9 +86,10 @@ def _trained(samples: list[bytes], size: int, **how) -> bytes:
     import zstandard as z
 
     try:
-        return content(z.train_dictionary(size + 512, samples, **how).as_bytes())[-size:]
+        trained = content(z.train_dictionary(size + 512, samples, **how).as_bytes())[-size:]
     except z.ZstdError:
-        return b"".join(samples)[:size]
+        trained = b""
+    return trained or b"".join(samples)[:size]
 
 
 def excerpts(texts: list[str], words: list[bytes]) -> list[bytes]:
