@@ -168,9 +168,23 @@ def regain_sliding(df: DataFrame, p: GridParams, n: int) -> DataFrame:
     Hot cells carry the ranges of windows in which they are hot; chains carry the ranges they have in common. For each address
     with a root-checked chain the recorders common to its r cells are found as ranges in which all r cover them.
     """
+    return regain_touches(touches(df, p), p, n)
+
+
+def touches(df: DataFrame, p: GridParams) -> DataFrame:
+    """Contacts -> (row_id, col_id, rec, slot): every slot in which a recorder of the grid was touched."""
     marks = df.select("core", rec_hash(F.col("opp"), p.m).alias("rec"), "slot").distinct()
     each = marks.select(F.posexplode(grid_columns(F.col("core"), p)).alias("row_id", "col_id"), "rec", "slot")
-    cover = stored(coverage(each.withColumn("row_id", F.col("row_id").cast("long")), [*CELL, "rec"], n, p.k))
+    return each.withColumn("row_id", F.col("row_id").cast("long"))
+
+
+def regain_touches(each: DataFrame, p: GridParams, n: int, first: int = 0) -> DataFrame:
+    """Touches of slots 0..n-1 -> (win, core, touched, est, saturated) for the windows of p.k slots from the one that begins with slot `first` on.
+
+    Of slots before the last one of window `first` only the last touch of each recorder is needed.
+    """
+    cover = coverage(each, [*CELL, "rec"], n, p.k)
+    cover = stored(cover.withColumn("lo", F.greatest("lo", F.lit(first))).filter("lo <= hi") if first else cover)
     hot = stored(joined_ranges(steps(cover, [*CELL], p.cutoff), [*CELL]))
     chains = hot.filter("row_id = 0").select(F.col("col_id").alias("c0"), "lo", "hi")
     for i in range(1, p.r):

@@ -4,15 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators.grid import merge_grids, scan_grid
-from ..sources.contacts import contacts, theta
+from ..functions.hashing import encode_key
+from ..sources.contacts import EVENT_SLOT, EVENT_SLOTS
 from ..sources.storage import table
 from ..streaming import live as L
 from . import sqltext as S
-from .methods import C, S1, SMALL, query
+from .methods import _WIN1, C, F1_SPAN, S1, SMALL, query, small
 
 # the watermark stays behind the last event, so windows that it has not passed are not emitted in append mode
 _E = f"SELECT ts, {S.codec(S._K)} AS core, user_id AS opp, {S.event_slot()} AS slot, event_type FROM events"
+_SLOT = f"cast(floor((unix_micros(cast(ts as timestamp)) - 1704067200000000) / {EVENT_SLOT * 1_000_000}) as bigint)"
 _LIMIT = "(SELECT max(ts) - INTERVAL {0} FROM events)"
 
 
@@ -45,16 +46,61 @@ def _(s, d):
     return state.select("core", F.posexplode("last").alias("rec", "last_slot")).filter("last_slot >= 0").withColumn("rec", F.col("rec").cast("long"))
 
 
-@query("stream_heavy_report", S.regain(C("F1").add("x", "SELECT * FROM c WHERE slot > (SELECT max(slot) FROM c) - 300"), "x", S1).select("SELECT *, (SELECT max(slot) FROM c) AS slot FROM found"))
+#: Micro-batches of the replayed events, in the order of time.
+_BATCHES = 4
+_BY_TIME = f"cast(floor((unix_micros(cast(ts as timestamp)) - 1704067200000000) / {EVENT_SLOT * 1_000_000 * EVENT_SLOTS // _BATCHES}) as int)"
+
+
+@query("stream_heavy_report", _WIN1.select("SELECT win + 299 AS slot, core, touched, est, saturated FROM found"))
 def _(s, d):
-    return L.heavy_report(L.event_stream(s, d).select("core", "opp", "slot"), SMALL.with_(theta=theta(s, d, "F1"), k=300))
+    events = L.event_stream(s, d, L.replayed(s, d, F.expr(_BY_TIME), _BATCHES))
+    return L.heavy_report(events.select("core", "opp", "slot"), small(s, d, k=F1_SPAN))
 
 
 @query("stream_late_merge", C("F1").select(S.grid("c", S1)))
 def _(s, d):
-    # even slots first, odd ones late: the maximum does not mind
-    c = contacts(s, d, "F1")
-    return merge_grids(scan_grid(c.filter("slot % 2 = 0"), SMALL).unionByName(scan_grid(c.filter("slot % 2 = 1"), SMALL)))
+    # even slots land first, odd ones in two later files: the maximum does not mind
+    late = F.when(F.expr(f"{_SLOT} % 2 = 0"), 0).otherwise(F.expr(f"1 + {_SLOT} div 2 % 2"))
+    return L.drained(L.grid_state(L.event_stream(s, d, L.replayed(s, d, late, 3)), SMALL), "complete")
+
+
+# every tenth event lands after all others; a batch drops what is later than the watermark that the batch before it had, and drops are counted
+_HALF = "ts < TIMESTAMP_NTZ '2024-01-16 00:00:00'"
+_FIRST = "ts < TIMESTAMP '2024-01-16' AND event_id % 10 <> 0"
+_KEPT = f"SELECT event_id FROM events WHERE {_FIRST} OR ts > (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 1 HOUR FROM events WHERE {_FIRST})"
+
+
+def _halves(s, d):
+    return L.event_stream(s, d, L.replayed(s, d, F.when(F.expr("event_id % 10 = 0"), 2).when(F.expr(_HALF), 0).otherwise(1), 3))
+
+
+@query("stream_late_kept", _KEPT)
+def _(s, d):
+    return L.on_time(_halves(s, d), "event_id")[0].select("event_id")
+
+
+@query("stream_late_count", f"SELECT (SELECT count(*) FROM ({_KEPT})) AS kept, (SELECT count(*) FROM events) - (SELECT count(*) FROM ({_KEPT})) AS dropped")
+def _(s, d):
+    rows, late = L.on_time(_halves(s, d), "event_id")
+    return rows.agg(F.count("*").alias("kept"), F.lit(late).cast("long").alias("dropped"))
+
+
+# users as the cores: few contacts each, so that state expires
+@query("stream_state_expiry", f"""SELECT {S.codec('user_id')} AS core, epoch_ms(max(ts)) + {F1_SPAN * EVENT_SLOT * 1_000} < (SELECT epoch_ms(max(ts)) - 3600000 FROM events) AS expired
+    FROM events GROUP BY user_id""")
+def _(s, d):
+    events = L.event_stream(s, d, L.replayed(s, d, F.expr(_BY_TIME), _BATCHES)).select(encode_key(F.col("opp")).alias("core"), F.col("core").alias("opp"), "slot", "ts")
+    return L.newest(L.dense_state(events, 64, F1_SPAN * EVENT_SLOT), "core").select("core", "expired")
+
+
+@query("stream_rate", "SELECT k * 1640531541 & 4294967295 AS core, 40::BIGINT AS fan_out FROM (SELECT unnest(range(25)) AS k)")
+def _(s, d):
+    return L.drained(L.rate_contacts(s, 1_000, 25, 40)).groupBy("core").agg(F.countDistinct("opp").alias("fan_out"))
+
+
+@query("stream_memory_sink", "SELECT event_type, count(*) AS n FROM events GROUP BY event_type")
+def _(s, d):
+    return L.in_memory(L.event_stream(s, d).groupBy("event_type").agg(F.count("*").alias("n")), "complete")
 
 
 @query("stream_dedup", f"SELECT DISTINCT core, opp, slot FROM ({_E})")

@@ -9,13 +9,34 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir, or a temporary one where that is unset (tests)."""
+    """The folder of spark.checkpoint.dir. Where that is unset: a temporary one of a local session (tests); a cluster has to name one."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="fanout-"))
+        path = spark.conf.get("spark.checkpoint.dir", None)
+        if path is None and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(path or tempfile.mkdtemp(prefix="fanout-"))
     return sc.getCheckpointDir()
 
 
+def _path(spark: SparkSession, path: str):
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at, at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+def names(spark: SparkSession, path: str) -> list[str]:
+    """Names in a folder of any store that Spark reads; none where there is no such folder."""
+    at, fs = _path(spark, path)
+    return [f.getPath().getName() for f in fs.listStatus(at)] if fs.exists(at) else []
+
+
+def dropped(spark: SparkSession, *paths: str) -> None:
+    """Deletes tables that no later plan reads."""
+    for p in paths:
+        at, fs = _path(spark, p)
+        fs.delete(at, True)
+
+
 def stored(df: DataFrame) -> DataFrame:
     """df written as Parquet and read again: computed once, whatever is built on it, and safe from lost executors."""
     path = f"{shared_dir(df.sparkSession)}/state/{uuid.uuid4().hex}"

@@ -13,6 +13,8 @@ from fanout.operators import grid as G
 from fanout.operators import linear as N
 from fanout.operators import recorder as R
 from fanout.operators import recover as V
+from fanout.sources.contacts import EVENT_SLOTS, contacts
+from fanout.streaming import live as L
 
 CONTACT = "core long, opp long, slot long, router long"
 
@@ -102,3 +104,24 @@ def test_empty_contacts(spark):
         expand_windows(none, 15, 5), fixed_window(none, 5, 15),
     ):
         assert df.count() == 0 and df.columns
+
+
+def test_slot_reports_go_on_after_a_restart_and_do_not_double(spark, tmp_path):
+    """Files of a stream that land in two goes, with a new reporter and a new query for each; a batch that is run twice."""
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet").withColumn("_at", F.expr("cast((unix_micros(cast(ts as timestamp)) - 1704067200000000) div 648000000000 as int)"))
+    p, path, base = GridParams(m=1024, w=12, r=6, d=5, theta=4, k=300), f"{tmp_path}/landing", f"{tmp_path}/reports"
+    want = V.regain_sliding(contacts(spark, "/root/testdata/sf0.001", "F1"), p, EVENT_SLOTS).select((F.col("win") + 299).alias("slot"), "core", "touched")
+    seen = contacts(spark, "/root/testdata/sf0.001", "F1").agg(F.max("slot")).first()[0]  # no slot after it is closed
+    want = {tuple(r) for r in want.collect() if r["slot"] <= seen}
+    L.land(events, path, range(2))
+    stream = lambda: L.event_stream(spark, "/root/testdata/sf0.001", path).select("core", "opp", "slot")
+    first = {tuple(r)[:3] for r in L.heavy_report(stream(), p, base).collect()}
+    assert first == {r for r in want if r[0] <= max(x[0] for x in first)} and first
+    L.land(events, path, range(2, 4))
+    last = L.heavy_report(stream(), p, base).collect()
+    assert {tuple(r)[:3] for r in last} == want and len(last) == len(want)
+    heavy = spark.createDataFrame([(1, x, seen + 1) for x in range(9)], "core long, opp long, slot long")
+    for _ in range(2):  # a batch that is run again writes its tables anew
+        L.SlotReporter(p, base)(heavy, 4)
+    more = spark.read.parquet(f"{base}/out").filter(F.col("slot") > seen).collect()
+    assert [(r["slot"], r["touched"]) for r in more if r["core"] == 1] == [(seen + 1, 9)] and {r["slot"] for r in more} == {seen + 1}
