@@ -36,8 +36,6 @@ class Items:
         split = [(i, words_of(t)) for i, t in rows]
         self.vocabulary = {w: k for k, w in enumerate(dict.fromkeys(w for _, ws in split for w in ws), 1)}
         self.base, self.n = len(self.vocabulary) + 1, n
-        if self.base**n >= 1 << 63:
-            raise ValueError("a block of items has too many different words")
         self.ids = [i for i, _ in split]
         self.words = [np.array([self.vocabulary[w] for w in ws], np.int64) for _, ws in split]
         where = [(int(c), k, p) for k, ws in enumerate(self.words) for p, c in enumerate(self.codes(ws))]
@@ -45,13 +43,13 @@ class Items:
         self.seeds = np.unique(self.table[:, 0])
 
     def codes(self, ws: np.ndarray) -> np.ndarray:
-        """Codes of the n-grams of word numbers; -1 where one of the words is in no item."""
+        """Codes of the n-grams of word numbers, modulo 2^62; -1 where one of the words is in no item. Like codes of unlike n-grams only cost an alignment."""
         m = len(ws) - self.n + 1
         if m <= 0:
             return np.zeros(0, np.int64)
         out, known = np.zeros(m, np.int64), np.ones(m, bool)
         for k in range(self.n):
-            out = out * self.base + ws[k : k + m]
+            out = (out * self.base + ws[k : k + m]) & ((1 << 62) - 1)
             known &= ws[k : k + m] > 0
         return np.where(known, out, -1)
 
@@ -103,7 +101,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str
     score: words aligned less edits; share: of the item's words; last_word: where in the document's words it ends. One row
     for each (document, item), repeated rows of documents each; a document that holds an item more than once gives its
     best place. Items shorter than a seed are only found as they are, through their whole word sequence. Null texts are
-    empty; empty texts and items without words give nothing. No limit on items or places for a document.
+    empty; empty texts and items without words give nothing. Rows without a doc_id and items without an item_id are compared like
+    others and come out with a null. Repeated items come out each. Other columns are ignored. No limit on items or places for a document.
     """
     spark, kind = docs.sparkSession, docs.schema[key].dataType.simpleString()
     kinds = f"doc_id {kind}, item_id {benchmark.schema['item_id'].dataType.simpleString()}, score long, share double, last_word long"
@@ -111,7 +110,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str
     blocks, held, size = [], [], 0
     for r in benchmark.select("item_id", whole("text").alias("text")).toLocalIterator():  # one block at a time is on the driver
         held.append((r["item_id"], r["text"]))
-        size += r["text"].count(" ") + 1
+        size += len(words_of(r["text"]))
         if size >= block_words:
             blocks.append(_block_leaks(corpus, held, kinds))
             held, size = [], 0
