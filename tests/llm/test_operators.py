@@ -334,6 +334,49 @@ def test_alignment_equals_the_table():
         assert decontaminate.align(a, b)[0] == naive_alignment(a.tolist(), b.tolist())
 
 
+def test_decontamination_of_odd_rows(spark):
+    """Repeated and null ids, ties, clashing columns, words between lines and tabs, an item of very many different words."""
+    item = " ".join(f"i{k}" for k in range(30))
+    df = spark.createDataFrame([(1, item), (1, item), (None, item), (2, item.replace(" ", "\n\t")), (3, None), (4, "i1 i2"), (5, "w7 " * 50_000)], "doc_id long, text string").withColumn("score", F.lit("clash")).withColumn("item_id", F.lit(0))
+    bench = spark.createDataFrame([(7, item), (7, item), (None, item), (8, None)], "item_id long, text string").withColumn("doc_id", F.lit(9))
+    got = Counter((r["doc_id"], r["item_id"], r["score"]) for r in decontaminate.leaks(df, bench).collect())
+    assert got == {(1, 7, 30): 4, (None, 7, 30): 2, (2, 7, 30): 2, (1, None, 30): 2, (None, None, 30): 1, (2, None, 30): 1}
+    assert decontaminate.leaks(df.filter("false"), bench).count() == 0
+    many = decontaminate.Items([(0, " ".join(f"v{k}" for k in range(2_200_000)))])
+    assert many.base**3 > 1 << 63 and [m[0] for m in decontaminate.matches(decontaminate.Items([(0, item)]), decontaminate.Items([(0, item)]).seeds, item)] == [0]
+    assert len(many.found(many.words[0][500:540], many.seeds)[0]) == 38
+
+
+def test_decontamination_recall_by_share_of_edits(spark):
+    """Against alignment of every item with every text: 5 to 30 % of the words changed, at random."""
+    rng = np.random.default_rng(12)
+    items = [[f"x{k}_{i}" for i in range(40)] for k in range(30)]
+    for share in (0.05, 0.1, 0.2, 0.3):
+        rows = []
+        for k, ws in enumerate(items):
+            edited = [w if rng.random() >= share else f"e{rng.integers(1000)}" for w in ws]
+            rows.append((k, " ".join([f"n{rng.integers(1000)}" for _ in range(20)] + edited)))
+        want = {k for k, t in rows if naive_alignment(items[k], t.split()) >= decontaminate.needed(40)}
+        bench = spark.createDataFrame([(k, " ".join(ws)) for k, ws in enumerate(items)], "item_id long, text string")
+        got = {(r["doc_id"], r["item_id"]) for r in decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+        assert got <= {(k, k) for k in want} and len(got) >= 0.9 * len(want), share
+
+
+def test_near_copies_against_all_pairs_by_similarity(spark):
+    """Pairs of texts at sf0.01 with a Jaccard similarity of 0.8 or more of their 5-word shingles: how many have one component."""
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    shingles, posted = {}, defaultdict(list)
+    for r in df.collect():
+        ws = (r["text"] or "").lower().split()
+        shingles[r["doc_id"]] = s = {" ".join(ws[k : k + 5]) for k in range(max(1, len(ws) - 4))}
+        for x in s:
+            posted[x].append(r["doc_id"])
+    met = {(a, b) for ids in posted.values() for i, a in enumerate(ids) for b in ids[i + 1 :]}
+    pairs = [(a, b) for a, b in met if len(shingles[a] & shingles[b]) >= 0.8 * len(shingles[a] | shingles[b])]
+    got = {r["doc_id"]: r["component_id"] for r in wide_simhash.near_copies(df).collect()}
+    assert len(pairs) > 100 and sum(got[a] == got[b] for a, b in pairs) >= 0.95 * len(pairs)
+
+
 def test_lattice_gives_the_library_s_ids(spark, docs, odd):
     import sentencepiece
 
@@ -343,6 +386,8 @@ def test_lattice_gives_the_library_s_ids(spark, docs, odd):
         got = sentencepiece_lattice.encode(df, PIECE).collect()
         assert sorted((str(r["doc_id"]), r["ids"]) for r in got) == want
         assert all(r["round_trip"] for r in got if r["doc_id"] != 8)
+        back = sentencepiece_lattice.decode_ids(sentencepiece_lattice.encode(df, PIECE), PIECE).collect()
+        assert sorted((str(r["doc_id"]), r["text"]) for r in back) == sorted((str(r["doc_id"]), sp.decode(sp.encode(r["text"] or ""))) for r in df.collect())
     p = sentencepiece_lattice.Pieces(PIECE)
     words = ["▁hello", "▁thntble", "▁a", "▁unbelievable"]
     rel = sentencepiece_lattice.encode_words(spark.createDataFrame([(w,) for w in words], "word string"), p)

@@ -47,3 +47,21 @@ def test_stages(spark, tmp_path):
     sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
     assert {r["doc_id"]: r["ids"] for r in after.collect()} == {i: sp.encode(t or "") for i, t in before.items()}
     assert simhash.fingerprint("") == 0
+
+
+def test_stages_take_odd_rows_and_empty_tables(spark, tmp_path):
+    """Nulls in any column, empty and repeated rows, a long text, clashing columns; then no rows at all."""
+    text = "these are some words of a text that is neither long nor toxic nor like another one"
+    rows = [(1, None, None, None, None), (None, text, "en", "s", 5), (2, "", "en", "s", 0), (3, text, "en", "s", 5), (3, text, "en", "s", 5), (4, text + " again", None, "s", None), (5, "word " * 40_000, "en", "s", 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    docs = docs.withColumns({c: docs["doc_id"] for c in ("_tag", "runs", "score", "item_id", "component_id", "fp", "ids", "_score")})
+    known = spark.createDataFrame([(3, 1, 0), (3, None, None), (None, 1, 1), (5, 0, 1)], "doc_id long, quality int, toxic int")
+    for name, df in (("documents", docs), ("labels", known), ("benchmark", spark.createDataFrame([(1, None), (None, ""), (2, "a b c")], "item_id long, text string"))):
+        df.write.parquet(f"{tmp_path}/odd/{name}.parquet")
+        df.filter("false").write.parquet(f"{tmp_path}/none/{name}.parquet")
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        assert stage(spark, docs, f"{tmp_path}/odd").columns == docs.columns
+        assert stage(spark, docs.filter("false"), f"{tmp_path}/none").count() == 0
+    out = corpus_pipeline.run(spark, f"{tmp_path}/odd").collect()
+    assert {r["doc_id"] for r in out} <= {1, 2, 3, 4, 5, None} and all(r["n_tokens"] == len(r["ids"]) for r in out)
+    assert corpus_pipeline.run(spark, f"{tmp_path}/none").count() == 0
