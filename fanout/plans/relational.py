@@ -14,10 +14,10 @@ from ..functions.sqlext import register
 from ..operators import exact as E
 from ..operators import grid as G
 from ..operators import recorder as R
-from ..sources.contacts import EVENT_SLOTS, contacts
-from ..sources.storage import shared_dir, table
+from ..sources.contacts import EVENT_SLOTS, contacts, theta
+from ..sources.storage import shared_dir, stored, table
 from . import sqltext as S
-from .methods import C, F1_SPAN, WIDE, W6, query
+from .methods import C, F1_SPAN, T1, WIDE, W6, _few, _FEW, query
 
 
 @query("src_parquet", "SELECT 'events' AS name, count(*) AS n FROM events UNION ALL SELECT 'orders', count(*) FROM orders UNION ALL SELECT 'lineitem', count(*) FROM lineitem")
@@ -52,6 +52,14 @@ def _(s, d):
     return s.read.parquet(path).select(F.col("row_id").cast("long").alias("row_id"), "col_id", "rec", "last_slot")
 
 
+@query("sink_bucketed", C("F3").add("g", S.grid("c", W6)).select("SELECT row_id, col_id, count(*) AS touched, max(last_slot) AS last_slot FROM g GROUP BY ALL"))
+def _(s, d):
+    # state in buckets by cell, sorted: counts by cell and joins of two such tables need no exchange
+    name = f"fanout_state_{uuid.uuid4().hex}"
+    G.scan_grid(contacts(s, d, "F3"), WIDE).write.bucketBy(8, "row_id", "col_id").sortBy("row_id", "col_id").option("path", f"{shared_dir(s)}/{name}").saveAsTable(name)
+    return s.table(name).groupBy("row_id", "col_id").agg(F.count("*").alias("touched"), F.max("last_slot").alias("last_slot"))
+
+
 @query("op_project", "SELECT event_id AS id, upper(event_type) AS kind, round(value * 2, 6) AS twice FROM events")
 def _(s, d):
     return table(s, d, "events").select(F.col("event_id").alias("id"), F.upper("event_type").alias("kind"), F.round(F.col("value") * 2, 6).alias("twice"))
@@ -254,6 +262,24 @@ def _(s, d):
     return table(s, d, "events").select("event_id", F.lag("event_id").over(w).alias("p"), F.lead("event_id").over(w).alias("n"), F.first("event_id").over(w).alias("f"))
 
 
+@query("win_nth", """SELECT event_id, last_value(event_id) OVER w AS l, nth_value(event_id, 3) OVER w AS third FROM events
+    WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)""")
+def _(s, d):
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return table(s, d, "events").select("event_id", F.last("event_id").over(w).alias("l"), F.nth_value("event_id", 3).over(w).alias("third"))
+
+
+@query("topk_offset", C("F6").add("t", S.fan("c")).select("SELECT * FROM t ORDER BY fan_out DESC, core LIMIT 20 OFFSET 10"))
+def _(s, d):
+    return E.exact_fanout(contacts(s, d, "F6")).orderBy(F.desc("fan_out"), "core").offset(10).limit(20)
+
+
+@query("agg_percentile", "SELECT event_type, min(value) FILTER (c >= 0.5) AS median, min(value) FILTER (c >= 0.9) AS high FROM (SELECT event_type, value, cume_dist() OVER (PARTITION BY event_type ORDER BY value) AS c FROM events WHERE value IS NOT NULL) GROUP BY event_type")
+def _(s, d):
+    at = F.percentile_approx("value", [0.5, 0.9], 1_000_000)  # exact for groups of up to so many values
+    return table(s, d, "events").groupBy("event_type").agg(at.alias("p")).select("event_type", F.col("p")[0].alias("median"), F.col("p")[1].alias("high"))
+
+
 @query("win_frames", C("F1").add("t", "SELECT core, slot, count(*) AS n FROM c GROUP BY ALL").select(
     "SELECT core, slot, sum(n) OVER (PARTITION BY core ORDER BY slot RANGE BETWEEN 299 PRECEDING AND CURRENT ROW)::BIGINT AS in_window, sum(n) OVER (PARTITION BY core ORDER BY slot)::BIGINT AS so_far FROM t"))
 def _(s, d):
@@ -263,11 +289,11 @@ def _(s, d):
 
 
 def _heavy_blocks(s, d):
-    h = E.exact_heavy_fixed(contacts(s, d, "F1"), 13, F1_SPAN, EVENT_SLOTS)
+    h = E.exact_heavy_fixed(contacts(s, d, "F1"), theta(s, d, "F1"), F1_SPAN, EVENT_SLOTS)
     return h.filter("win = 0").select("core"), h.filter("win = 1").select("core")
 
 
-_B01 = C("F1").add("x", S.fixed("c", 3600, 300)).add("t", S.fan("x", ("win",))).add("a", "SELECT core FROM t WHERE win = 0 AND fan_out >= 13").add("b", "SELECT core FROM t WHERE win = 1 AND fan_out >= 13")
+_B01 = C("F1").add("x", S.fixed("c", 3600, 300)).add("t", S.fan("x", ("win",))).add("a", f"SELECT core FROM t WHERE win = 0 AND fan_out >= {T1}").add("b", f"SELECT core FROM t WHERE win = 1 AND fan_out >= {T1}")
 
 
 @query("set_union", _B01.select("SELECT core FROM a UNION SELECT core FROM b"))
@@ -396,8 +422,34 @@ def _(s, d):
     return s.sql("SELECT t.row_id, t.col_id, t.rec, max(m.slot) AS last_slot FROM fanout_marks m, LATERAL fanout_touches(m.core, m.rec) t GROUP BY ALL")
 
 
+@query("udtf_chains", C("F1").add("g", S.grid("c", _FEW)).add("h", S.hot("g", _FEW)).select(S.chains("h", _FEW)))
+def _(s, d):
+    state, p = _few(s, d)
+    hot = stored(G.hot_cells(state, p))
+
+    class Chains:
+        """All chains that grow from one hot cell of row 0, one at a time."""
+
+        def eval(self, c0: int, rows: list):
+            stack = [(c0,)]
+            while stack:
+                chain = stack.pop()
+                i = len(chain)
+                if i == p.r:
+                    yield chain
+                    continue
+                low = ((chain[-1] ^ c0) >> p.d) ^ (c0 & p.overlap_mask)
+                stack += [(*chain, c) for c in rows[i] if i == 1 or c & p.overlap_mask == low]
+
+    s.udtf.register("fanout_chains", F.udtf(Chains, returnType=", ".join(f"c{i} bigint" for i in range(p.r))))
+    lists = hot.groupBy().agg(*(F.collect_list(F.when(F.col("row_id") == i, F.col("col_id"))).alias(f"r{i}") for i in range(p.r)))  # at most 2^w a row
+    hot.filter("row_id = 0").select("col_id").createOrReplaceTempView("fanout_roots")
+    lists.select(F.array(*(f"r{i}" for i in range(p.r))).alias("rows")).createOrReplaceTempView("fanout_rows")
+    return s.sql("SELECT t.* FROM fanout_roots, fanout_rows, LATERAL fanout_chains(col_id, rows) t")
+
+
 @query("sql_surface", C("F3").select(f"""SELECT core, count(DISTINCT {S.rec('opp', 2048)}) AS touched, {S.est(2048, f"count(DISTINCT {S.rec('opp', 2048)})")} AS est,
-    count(DISTINCT {S.rec('opp', 2048)}) >= {W6.with_(theta=540).cutoff!r} AS hot FROM c GROUP BY core"""))
+    count(DISTINCT {S.rec('opp', 2048)}) >= {WIDE.with_(theta=540).cutoff!r} AS hot FROM c GROUP BY core"""))
 def _(s, d):
     register(s)
     contacts(s, d, "F3").createOrReplaceTempView("fanout_contacts")

@@ -214,9 +214,33 @@ def _(s, d):
     return E.exact_fanout(four).select(F.col("fan_out").alias("exact")).crossJoin(E.racy_count(four).select(F.col("fan_out").alias("unseen")))
 
 
-@query("w_swapped", C("F2").add("t", S.fan("c")).select("SELECT fan_out, count(*) AS cores FROM t GROUP BY fan_out"))
+_SIDES = (("F1", "keys"), ("F2", "users"))
+
+
+@query("w_swapped", C("F1").contacts("F2", "c2").add("t", S.fan("c")).add("u", S.fan("c2")).select(
+    "SELECT 'keys' AS side, fan_out, count(*) AS cores FROM t GROUP BY fan_out UNION ALL SELECT 'users', fan_out, count(*) FROM u GROUP BY fan_out"))
 def _(s, d):
-    return E.exact_fanout(contacts(s, d, "F2")).groupBy("fan_out").agg(F.count("*").alias("cores"))
+    each = (E.exact_fanout(contacts(s, d, f)).groupBy("fan_out").agg(F.count("*").alias("cores")).withColumn("side", F.lit(k)) for f, k in _SIDES)
+    return reduce(DataFrame.unionByName, each)
+
+
+def _sides_sql() -> str:
+    w = C("F1").contacts("F2", "c2")
+    for src, k, t in (("c", "keys", f"6 * {T1}"), ("c2", "users", T1)):
+        w.add(f"truth_{k}", f"SELECT core FROM {src} GROUP BY core HAVING count(DISTINCT opp) >= {t}")
+        S.regain(w, src, S1.with_(theta=t), (), f"_{k}")
+    return w.select(" UNION ALL ".join(f"({S.accuracy(f'found_{k}', f'truth_{k}', (), f"'{k}' AS side, ")})" for _, k in _SIDES))
+
+
+@query("w_sides_compare", _sides_sql())
+def _(s, d):
+    # the same events seen from either side: other cores, other loads, the same detector
+    out, t = [], theta(s, d, "F1")
+    for f, k in _SIDES:
+        c, p = stored(contacts(s, d, f)), SMALL.with_(theta=6 * t if k == "keys" else t)
+        truth = E.exact_fanout(c).filter(F.col("fan_out") >= p.theta)
+        out.append(A.accuracy(V.regain_levels(stored(G.scan_grid(c, p)), p), truth).withColumn("side", F.lit(k)))
+    return reduce(DataFrame.unionByName, out)
 
 
 _ABLATION = {
@@ -240,6 +264,34 @@ def _(s, d):
     return reduce(DataFrame.unionByName, each)
 
 
+#: Other cuts of the address, on the suppliers over the whole period, and the two rules to merge routers.
+_CUTS = {"w14": WIDE, "w12": WIDE.with_(w=12, d=5, r=6), "w10": WIDE.with_(w=10, d=8, r=5), "w8": WIDE.with_(w=8, d=6, r=6)}
+_ALL3 = {k: p.with_(theta=540) for k, p in _CUTS.items()}
+
+
+def _ablation_ship_sql() -> str:
+    w = C("F3").add("truth", "SELECT core FROM c GROUP BY core HAVING count(DISTINCT opp) >= 540")
+    for k, p in _ALL3.items():
+        S.regain(w, "c", p, (), f"_{k}")
+    w.add("routed", S.grid("c", _ALL3["w14"], ("router",)))
+    for k, rule in (("nearest", "max(last_slot) AS last_slot FROM routed GROUP BY ALL"), ("farthest", "min(last_slot) AS last_slot FROM routed GROUP BY ALL HAVING count(*) = 4")):
+        w.add(f"m_{k}", f"SELECT row_id, col_id, rec, {rule}")
+        S.regain(w, "c", _ALL3["w14"], (), f"_{k}", f"m_{k}")
+    return w.select(" UNION ALL ".join(f"({S.accuracy(f'found_{k}', 'truth', (), f"'{k}' AS variant, ")})" for k in (*_ALL3, "nearest", "farthest")))
+
+
+@query("w_ablation_ship", _ablation_ship_sql())
+def _(s, d):
+    c, t = stored(contacts(s, d, "F3")), theta(s, d, "F3_all")
+    truth = stored(E.exact_fanout(c).filter(F.col("fan_out") >= t))
+    grids = {k: (G.scan_grid(c, p), p) for k, p in _ALL3.items()}
+    p = _ALL3["w14"]
+    routed = stored(G.scan_grid(c, p, ("router",)))
+    grids |= {"nearest": (G.merge_grids(routed), p), "farthest": (G.merge_grids(routed, "farthest", 4), p)}
+    each = (A.accuracy(V.regain_levels(stored(g), q), truth).withColumn("variant", F.lit(k)) for k, (g, q) in grids.items())
+    return reduce(DataFrame.unionByName, each)
+
+
 @query("w_two_stage", S.regain(C("F6"), "c", W6).select(
     f"""SELECT token, count(*) AS docs, count(DISTINCT lang) AS langs, round(avg(n_chars), 4) AS mean_chars, count(*) FILTER (toxic = 1) AS toxic
     FROM (SELECT doc_id, lang, n_chars, unnest(list_distinct(regexp_extract_all(lower(text), '[a-z]+'))) AS token FROM documents) LEFT JOIN labels USING (doc_id)
