@@ -244,15 +244,15 @@ def _(s, d):
 
 
 _ABLATION = {
-    "m512": W6.with_(m=512), "m1024": W6.with_(m=1024), "m2048": W6, "w16": W6.with_(w=16, d=8, r=4),
-    "literal_shift": W6.with_(literal_shift=True), "no_root": W6.with_(root_check=False), "no_pad": W6.with_(pad_check=False),
+    "m512": WIDE.with_(m=512), "m1024": WIDE.with_(m=1024), "m2048": WIDE, "w16": WIDE.with_(w=16, d=8, r=4),
+    "literal_shift": WIDE.with_(literal_shift=True), "no_root": WIDE.with_(root_check=False), "no_pad": WIDE.with_(pad_check=False),
 }
 
 
 def _ablation_sql() -> str:
     w = C("F6").add("truth", f"SELECT core FROM c GROUP BY core HAVING count(DISTINCT opp) >= {T6}")
     for k, p in _ABLATION.items():
-        S.regain(w, "c", p, (), f"_{k}")
+        S.regain(w, "c", S.SqlGrid.of(p, T6), (), f"_{k}")
     return w.select(" UNION ALL ".join(f"({S.accuracy(f'found_{k}', 'truth', (), f"'{k}' AS variant, ")})" for k in _ABLATION))
 
 
