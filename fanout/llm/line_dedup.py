@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import dropped, stored, whole
+from .common import dropped, looked_up, stored, whole
 
 MIN_WORDS = 8
 
@@ -92,21 +92,21 @@ def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS, key: str = "doc_i
     """documents -> (_run_id, _run_tag, _runs array of (first, last)): the runs of each document that occur earlier.
 
     Earlier is by (doc_id, hash of the text, line); a null doc_id is first. Rows alike in doc_id and text are one
-    document, so they do not repeat each other. Counts are combined before the shuffle, and what recurs is stored
-    before the joins back, so that Spark can split those of a frequent line.
+    document, so they do not repeat each other. Counts are combined before the shuffle, what recurs is stored, and
+    rows of a frequent line stay in place in the joins back.
     """
     spark = docs.sparkSession
     rows = docs.select(F.col(key).alias("doc_id"), whole(text).alias("_t"))
     rows = rows.select("doc_id", F.xxhash64("_t").alias("_tag"), F.explode(_fingerprints(F.col("_t"), min_words)).alias("s")).select("doc_id", "_tag", "s.*")
     rows, rows_path = stored(rows)
     spot, place = F.struct("doc_id", "_tag", "at"), F.struct("doc_id", "_tag", "first")
-    twice = lambda df, by, what: df.groupBy(by).agg(F.min(what).alias("_origin"), F.max(what).alias("_end")).filter("_origin != _end")
-    recurring, fp_path = stored(twice(rows, "fp", spot).select("fp"))
-    matched = rows.join(recurring, "fp").select("doc_id", "_tag", F.explode("windows").alias("w")).select("doc_id", "_tag", "w.*")
+    twice = lambda df, by, what: df.groupBy(by).agg(F.min(what).alias("_origin"), F.max(what).alias("_end"), F.count("*").alias("_n")).filter("_origin != _end")
+    recurring, fp_path = stored(twice(rows, "fp", spot).select("fp", "_n"))
+    matched = looked_up(rows, recurring, "fp").select("doc_id", "_tag", F.explode("windows").alias("w")).select("doc_id", "_tag", "w.*")
     matched, matched_path = stored(matched)
     dropped(spark, rows_path, fp_path)
     firsts, firsts_path = stored(twice(matched, "key", place).drop("_end"))
-    later = matched.join(firsts, "key").filter(place > F.col("_origin"))
+    later = looked_up(matched, firsts, "key").filter(place > F.col("_origin"))
     runs, _ = stored(later.groupBy(F.col("doc_id").alias("_run_id"), F.col("_tag").alias("_run_tag")).agg(F.collect_set(F.struct("first", "last")).alias("_runs")))
     dropped(spark, matched_path, firsts_path)
     return runs

@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import dropped, stored, whole
+from .common import dropped, looked_up, stored, whole
 
 BITS, SEED, HOT = 3, 42, 4_096
 
@@ -203,10 +203,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = BITS, seed: i
     if not 0 <= bits <= 3:
         raise ValueError("the index is exact for 0 to 3 bits")
     fps, _ = stored(fingerprints(docs, shingle, seed, key, text))
-    kinds, _ = stored(fps.groupBy("fp").agg(F.min("doc_id").alias("first")))
+    kinds, kinds_path = stored(fps.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count("*").alias("copies")))
     edges = links(kinds.select("fp"), bits, hot)
-    roots, _ = stored(components(edges))
-    merged = kinds.join(roots, kinds["fp"] == roots["node"], "left").select("fp", F.coalesce("root", "fp").alias("root"), "first")
-    merged, _ = stored(merged)
-    lowest, _ = stored(merged.join(merged.groupBy("root").agg(F.min("first").alias("component_id")), "root").select("fp", "component_id"))
-    return fps.join(lowest, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    merged = kinds.join(components(edges), F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"), "first", "copies")
+    merged, merged_path = stored(merged)
+    lowest, lowest_path = stored(merged.groupBy("root").agg(F.min("first").alias("component_id"), F.count("*").alias("_n")))
+    named, _ = stored(looked_up(merged, lowest, "root").select("fp", "component_id", F.col("copies").alias("_n")))
+    dropped(docs.sparkSession, kinds_path, merged_path, lowest_path)
+    return looked_up(fps, named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")

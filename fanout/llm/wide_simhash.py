@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import dropped, stored, whole
+from .common import dropped, looked_up, stored, whole
 from .simhash import components
 
 PLACES, SHINGLE, SIMILARITY, CHUNK = 64, 5, 0.8, 2_048
@@ -111,7 +111,7 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIM
             yield pd.DataFrame({"doc_id": b["doc_id"], "fp": [fingerprint(t, shingle) for t in b["_text"]]})
 
     fps, _ = stored(docs.select(F.col(key).alias("doc_id"), whole(text).alias("_text")).filter("doc_id is not null").mapInPandas(of, f"doc_id {kind}, fp binary"))
-    kinds, _ = stored(fps.groupBy("fp").agg(F.min("doc_id").alias("node")))
+    kinds, _ = stored(fps.groupBy("fp").agg(F.min("doc_id").alias("node"), F.count("*").alias("copies")))
 
     def listed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         tag = np.arange(len(TRIPLES), dtype=np.int64) << 24
@@ -143,7 +143,7 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIM
             if out:
                 yield pd.DataFrame(out, columns=["list", "part", "node"])
 
-    lists = kinds.mapInPandas(listed, f"list long, node {kind}").repartition("list").sortWithinPartitions("list", "node").mapInPandas(met, f"list long, part long, node {kind}")
+    lists = kinds.select("fp", "node").mapInPandas(listed, f"list long, node {kind}").repartition("list").sortWithinPartitions("list", "node").mapInPandas(met, f"list long, part long, node {kind}")
     lists, lists_path = stored(lists)
     # blocks of a list: each chunk alone, and each two chunks of it, where side 1 is the later one
     tops, _ = stored(lists.filter("part > 0").groupBy("list").agg(F.max("part").alias("top")))
@@ -170,12 +170,12 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIM
             yield pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(c)})
 
     block = F.shiftleft("list", 32).bitwiseOR(F.shiftleft("a", 16)).bitwiseOR(F.col("b"))  # 31, 16 and 16 bits
-    dealt = blocks.select(block.alias("block"), "side", "node").join(kinds, "node").select("block", "side", "node", "fp").repartition("block").sortWithinPartitions("block", "side", "node")
+    dealt = blocks.select(block.alias("block"), "side", "node").join(kinds.select("fp", "node"), "node").select("block", "side", "node", "fp").repartition("block").sortWithinPartitions("block", "side", "node")
     edges, _ = stored(dealt.mapInPandas(linked, f"a {kind}, b {kind}").filter("a != b").distinct())
     dropped(spark, lists_path)
     roots, _ = stored(components(edges))
-    named, _ = stored(kinds.join(roots, "node", "left").select("fp", F.coalesce("root", "node").alias("component_id")))
-    return fps.join(named, "fp").select("doc_id", "component_id")
+    named, _ = stored(kinds.join(roots, "node", "left").select("fp", F.coalesce("root", "node").alias("component_id"), F.col("copies").alias("_n")))
+    return looked_up(fps, named, "fp").select("doc_id", "component_id")
 
 
 def one_of_each(docs: DataFrame, **how) -> DataFrame:
