@@ -10,10 +10,13 @@ from __future__ import annotations
 from bisect import bisect_left, insort
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed, stored, whole
+from .common import HOT_KEYS, checkpointed, dropped, looked_up, stored, whole
+
+#: Rows of the packing or of the numbering that are sent to all tasks at most; more are joined by a shuffle.
+SEND_ROWS = 200_000
 
 
 def best_fit(weights: Sequence[tuple[int, int]], capacity: int, bins: int | None = None) -> list[tuple[int, int, int]] | None:
@@ -62,25 +65,36 @@ def pack(weights: Sequence[tuple[int, int]], bins: int) -> list[tuple[int, int,
 def numbered(rows: DataFrame, *keys: str) -> DataFrame:
     """rows with `nth`, gapless from 0 for each value of `keys`, whatever its share of the rows.
 
-    Rows are sorted inside their partitions and stored; then only the count of each (partition, key)
-    is needed: at most partitions x keys rows.
+    Rows are sorted inside their partitions and stored; then only the count of each (partition, key) is needed. A running
+    sum of these over the partitions of a key gives where each begins.
     """
     held = checkpointed(rows.sortWithinPartitions(*keys)).withColumn("_at", F.monotonically_increasing_id())
     held = held.withColumn("_part", F.shiftright("_at", 33)).withColumn("_row", F.col("_at").bitwiseAND((1 << 33) - 1))
-    base, seen = [], {}
-    for r in sorted(held.groupBy("_part", *keys).agg(F.count("*").alias("n"), F.min("_row").alias("low")).collect(), key=lambda r: r["_part"]):
-        k = tuple(r[c] for c in keys)
-        base.append((r["_part"], *k, seen.get(k, 0) - r["low"]))
-        seen[k] = seen.get(k, 0) + r["n"]
-    kinds = ", ".join(["_part long", *(f"{c} {rows.schema[c].dataType.simpleString()}" for c in keys), "_base long"])
-    shift = rows.sparkSession.createDataFrame(base, kinds)
-    return held.join(F.broadcast(shift), ["_part", *keys]).withColumn("nth", F.col("_row") + F.col("_base")).drop("_part", "_row", "_at", "_base")
+    counts = held.groupBy("_part", *keys).agg(F.count("*").alias("_n"), F.min("_row").alias("_low"))
+    before = Window.partitionBy(*keys).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    shift, _ = stored(counts.select("_part", *keys, (F.coalesce(F.sum("_n").over(before), F.lit(0)) - F.col("_low")).alias("_base")))
+    shift = F.broadcast(shift) if shift.count() <= SEND_ROWS else shift.hint("merge")
+    return held.join(shift, ["_part", *keys]).withColumn("nth", F.col("_row") + F.col("_base")).drop("_part", "_row", "_at", "_base")
 
 
 def shard_groups(groups: DataFrame, bins: int) -> DataFrame:
-    """groups(key, weight long > 0, ...) -> the same with `shard`. Keys must be unique."""
+    """groups(key, weight long > 0, ...) -> the same with `shard`. Keys must be unique; groups should be a stored table.
+
+    The driver holds the histogram of weights. What it finds goes back to the groups by weight, sent to all tasks up to
+    SEND_ROWS rows. Beyond that the weights that many groups share (fewer than HOT_KEYS) are still sent, the others shuffled.
+    """
     spark = groups.sparkSession
-    plan = pack([(r["weight"], r["n"]) for r in groups.groupBy("weight").agg(F.count("*").alias("n")).collect()], bins)
+    seen = groups.groupBy("weight").agg(F.count("*").alias("n")).toPandas()
+    plan = pack(list(zip(seen["weight"].tolist(), seen["n"].tolist())), bins)
+    often, total = dict(zip(seen["weight"].tolist(), seen["n"].tolist())), int(seen["n"].sum())
+
+    def by_weight(rows: DataFrame, found: list[tuple], kinds: str) -> DataFrame:
+        if len(found) <= SEND_ROWS:
+            return rows.join(F.broadcast(spark.createDataFrame(found, kinds)), "weight")
+        hot = [f for f in found if often[f[0]] * HOT_KEYS > total]
+        few, rest = F.broadcast(spark.createDataFrame(hot, kinds)), spark.createDataFrame([f for f in found if often[f[0]] * HOT_KEYS <= total], kinds)
+        return rows.join(few, "weight").unionByName(rows.join(few.select("weight").distinct(), "weight", "left_anti").join(rest.hint("merge"), "weight"))
+
     merged: dict[int, list[list[int]]] = {}
     for w, b, n in plan:
         spans = merged.setdefault(w, [])
@@ -88,18 +102,16 @@ def shard_groups(groups: DataFrame, bins: int) -> DataFrame:
             spans[-1][1] += n
         else:
             spans.append([b, n])
-    single = spark.createDataFrame([(w, s[0][0]) for w, s in merged.items() if len(s) == 1], "weight long, shard int")
     spans = []
     for w, s in merged.items():
         at = 0
         for b, n in s if len(s) > 1 else ():
             spans.append((w, b, at, at + n))
             at += n
-    out = groups.join(single, "weight")
+    out = by_weight(groups, [(w, s[0][0]) for w, s in merged.items() if len(s) == 1], "weight long, shard int")
     if spans:
-        ranges = spark.createDataFrame(spans, "weight long, shard int, low long, high long")
-        shared = groups.join(F.broadcast(ranges.select("weight").distinct()), "weight", "left_semi")
-        ranked = numbered(shared, "weight").join(F.broadcast(ranges), "weight").filter("nth >= low and nth < high")
+        shared = by_weight(groups, [(w,) for w in sorted({s[0] for s in spans})], "weight long")
+        ranked = by_weight(numbered(shared, "weight"), spans, "weight long, shard int, low long, high long").filter("nth >= low and nth < high")
         out = out.unionByName(ranked.drop("nth", "low", "high"))
     return out
 
@@ -115,9 +127,10 @@ def shard(docs: DataFrame, bins: int = 8, key: str = "doc_id", text: str = "text
         "doc_id", (F.length("_b") + 1).cast("long").alias("size"), F.crc32("_b").alias("text_crc32"), F.unhex(F.sha2("_b", 256)).alias("_key")
     )
     base, _ = stored(base)
-    groups, _ = stored(base.groupBy("_key").agg(F.sum("size").alias("weight")))
-    where, _ = stored(shard_groups(groups, bins).select("_key", "shard"))
-    rows = base.join(where, "_key").drop("_key")
+    groups, groups_path = stored(base.groupBy("_key").agg(F.sum("size").alias("weight"), F.count("*").alias("_n")))
+    where, _ = stored(shard_groups(groups, bins).select("_key", "shard", "_n"))
+    dropped(docs.sparkSession, groups_path)
+    rows = looked_up(base, where, "_key").drop("_key")
     return numbered(rows, "shard").select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("nth").alias("slot"), F.lit(None).cast("int").alias("grown_shard")
     )

@@ -11,7 +11,7 @@ import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
 
-from fanout.llm import chat_format, decontaminate, exact_dedup, line_dedup, quality, sentencepiece_lattice, sharding, simhash, token_counts, toxicity, wide_simhash
+from fanout.llm import chat_format, common, decontaminate, exact_dedup, line_dedup, quality, sentencepiece_lattice, sharding, simhash, token_counts, toxicity, wide_simhash
 
 SF = "/root/testdata/sf0.001"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -98,6 +98,30 @@ def test_best_fit_packs_tightly_and_keeps_groups_whole(odd, docs):
     assert len({where[i] for i in range(20, 60)}) == 1 and where[4] == where[5]
 
 
+@pytest.mark.parametrize("send", [0, 10])
+def test_shards_are_the_same_without_what_is_sent(spark, docs, monkeypatch, send):
+    """Packing and numbering that are too large to send; weights of one group, of many, and of more than a bin takes."""
+    some = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(10_000 + i, f"equal weight {i:04d}") for i in range(600)], "doc_id long, text string"))
+    weigh = lambda: Counter((r["shard"], r["size"]) for r in sharding.shard(some, 8).collect())
+    want = weigh()
+    monkeypatch.setattr(sharding, "SEND_ROWS", send)
+    monkeypatch.setattr(sharding, "HOT_KEYS", 5)
+    rows = sharding.shard(some, 8).collect()
+    assert weigh() == want and len({r["doc_id"] for r in rows}) == len(rows) == some.count()
+    assert Counter((r["shard"], r["slot"]) for r in rows) == {(s, i): 1 for s, n in Counter(r["shard"] for r in rows).items() for i in range(n)}
+
+
+@pytest.mark.parametrize("hot", [1, 3, 1_000])
+def test_lookups_of_hot_keys(spark, monkeypatch, hot):
+    """Hot and other keys, keys without a partner on either side and null ones give what a plain join gives."""
+    monkeypatch.setattr(common, "HOT_KEYS", hot)
+    rows = spark.createDataFrame([(k, i) for i, k in enumerate(["a"] * 50 + ["b"] * 20 + list("cdefgh") + [None] * 30)], "k string, i long")
+    lookup = rows.filter("k is not null and k != 'd'").groupBy("k").agg(F.count("*").alias("_n"), F.min("i").alias("low"))
+    want = sorted(map(tuple, rows.join(lookup.drop("_n"), "k").collect()))
+    assert sorted(map(tuple, common.looked_up(rows, lookup, "k").collect())) == want and len(want) == 75
+    assert common.looked_up(rows.limit(0), lookup.limit(0), "k").count() == 0
+
+
 def test_token_counts_equal_the_library(odd, docs):
     tok = token_counts.tokenizer(WORD)
     for df, chunk in ((odd, 65_536), (docs, 200), (docs, 65_536)):
