@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fanout.llm import decontaminate, line_dedup, sentencepiece_lattice, toxicity, wide_simhash
-from fanout.llm.common import shared_dir, table
+from fanout.llm.common import dropped, shared_dir, table, tables
 from fanout.llm.learning import THRESHOLD
 
 
@@ -55,10 +55,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the table documents."""
+    """All stages over the table documents. What a stage stored for itself is deleted once its result is written."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        path = f"{shared_dir(spark)}/pipeline/{uuid.uuid4().hex}/{name}"
+        path, others = f"{shared_dir(spark)}/pipeline/{uuid.uuid4().hex}/{name}", set(tables())
         stage(spark, docs, sf_dir).write.parquet(path)
+        dropped(spark, *(t for t in tables() if t not in others))
         docs = spark.read.parquet(path)
     return docs
