@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import hashing as H
-from ..functions.params import GridParams
+from ..functions.params import MAX_AGE, GridParams, advise, max_window_hours
 from ..functions.slots import coverage, expand_ranges, expand_windows, fixed_window, slot_of, windows
 from ..operators import baselines as B
 from ..operators import exact as E
@@ -54,6 +54,62 @@ T1, T6 = S.theta("F1"), S.theta("F6")
 C = lambda f: S.With().contacts(f)
 
 
+# parameters
+
+#: m, w, r, d, theta, k: sets that hold and one for each rule that can be broken.
+_SETS = (
+    (2048, 14, 5, 6, 1024, 300), (1024, 12, 6, 5, 13, 300), (512, 10, 8, 5, 100, 1), (64, 8, 6, 6, 10, 65_534),
+    (2048, 14, 5, 14, 1024, 300), (2048, 14, 5, 0, 1024, 300), (2048, 14, 4, 6, 1024, 300), (2048, 31, 2, 6, 1024, 1), (0, 14, 5, 6, 1024, 1), (2048, 14, 5, 6, 0, 1),
+    (2048, 14, 5, 6, 1024, 0), (2048, 14, 5, 6, 1024, 65_535),
+)
+
+
+@query("params_valid", "SELECT *, d > 0 AND d < w AND (r - 2) * d + w >= 32 AND r >= 3 AND m >= 1 AND theta >= 1 AND k > 0 AND k < 65535 AS valid FROM (VALUES "
+    + ", ".join(map(str, _SETS)) + ") v(m, w, r, d, theta, k)")
+def _(s, d):
+    def holds(m, w, r, d, theta, k):
+        try:
+            return bool(GridParams(m=m, w=w, r=r, d=d, theta=theta, k=k).validate())
+        except ValueError:
+            return False
+
+    return s.createDataFrame([(*x, holds(*x)) for x in _SETS], "m int, w int, r int, d int, theta int, k int, valid boolean")
+
+
+#: Hot cells expected, threshold, error allowed, shards.
+_NEEDS = ((200, 128, 0.05, 1), (2_000, 128, 0.05, 1), (2_000, 128, 0.05, 16), (1, 13, 0.05, 1), (100_000, 1_024, 0.02, 64), (100_000, 1_024, 0.01, 1))
+
+
+@query("params_advice", f"""WITH needs(hot, theta, max_error, shards) AS (VALUES {", ".join(map(str, _NEEDS))}),
+    sizes AS (SELECT *, sqrt(m * (exp(theta::DOUBLE / m) - theta::DOUBLE / m - 1)) / theta AS err FROM needs, (SELECT 1 << unnest(range(6, 21)) AS m)),
+    recs AS (SELECT hot, theta, max_error, shards, min(m) AS m FROM sizes WHERE err <= max_error OR m = 1 << 20 GROUP BY ALL),
+    spare AS (SELECT *, greatest(2, ceil(log2(greatest(2, hot::DOUBLE / shards)))::INT + 1) AS spare FROM recs),
+    widths AS (SELECT *, w - spare AS d, greatest(3, ceil((32 - w) / (w - spare)::DOUBLE)::INT + 2) AS r FROM spare, (SELECT unnest(range(1, 25))::INT AS w) WHERE w > spare)
+    SELECT hot, theta, max_error::DOUBLE AS max_error, shards, m, w, r, d FROM widths QUALIFY row_number() OVER (PARTITION BY hot, theta, max_error, shards ORDER BY r * (1 << w), w) = 1""")
+def _(s, d):
+    rows = [(*x, p.m, p.w, p.r, p.d) for x in _NEEDS for p in [advise(x[0], x[1], x[2], x[3])]]
+    return s.createDataFrame(rows, "hot int, theta int, max_error double, shards int, m int, w int, r int, d int")
+
+
+@query("window_limits", "SELECT slot_seconds, round(65534 * slot_seconds / 3600.0, 6) AS hours FROM (VALUES (1), (60), (300)) v(slot_seconds)")
+def _(s, d):
+    return s.createDataFrame([(x, round(max_window_hours(x), 6)) for x in (1, 60, 300)], "slot_seconds int, hours double")
+
+
+@query("sketch_empty", "SELECT m, m AS recorders, 65535 AS least_age, 65535 AS most_age, 65535 AS least_age_later FROM (VALUES (8), (2048)) v(m)")
+def _(s, d):
+    """Fresh sketches: no recorder is young in any window, and ages stay at their top."""
+    new = s.range(1).select(F.lit(8).alias("m"), R.empty_sketch(8).alias("ages")).unionByName(s.range(1).select(F.lit(2048).alias("m"), R.empty_sketch(2048).alias("ages")))
+    return new.select("m", F.size("ages").alias("recorders"), F.array_min("ages").alias("least_age"), F.array_max("ages").alias("most_age"), F.array_min(R.aged(F.col("ages"), MAX_AGE)).alias("least_age_later"))
+
+
+@query("rate_formula", "SELECT contacts, seconds, round(contacts / seconds, 6) AS contacts_s, round(contacts / seconds / 1e6 * 6400 / 1024, 6) AS published_gb_s, "
+    "round(contacts / seconds * 6400 / 1e9, 6) AS gb_s FROM (VALUES (109000000, 1.0::DOUBLE), (12500000, 2.0::DOUBLE)) v(contacts, seconds)")
+def _(s, d):
+    rows = [(n, t, *(round(v, 6) for v in A.throughput(n, t).values())) for n, t in ((109_000_000, 1.0), (12_500_000, 2.0))]
+    return s.createDataFrame(rows, "contacts int, seconds double, contacts_s double, published_gb_s double, gb_s double")
+
+
 # hashes
 
 _CORES = "SELECT DISTINCT core FROM c"

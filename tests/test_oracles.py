@@ -10,6 +10,7 @@ from fanout.plans import relational, streams, workloads  # noqa: F401  their que
 
 SF = "/root/testdata/sf0.01"
 NAMES = [
+    "params_valid", "params_advice", "window_limits", "sketch_empty", "rate_formula",
     "hash_roundtrip", "slots_events", "windows_coverage", "exact_fanout", "exact_heavy_sliding_sweep", "linear_estimate", "recorder_sliding_all", "grid_merge_routers", "grid_point_query",
     "regain_levels", "regain_no_root_check", "regain_literal_shift", "crt_regain", "slice_regain", "acc_fixed", "w_slot_example", "w_pairs_example", "w_start_offset", "join_asof", "agg_cube",
     "fn_json", "sql_surface", "udtf_touches", "stream_tumbling", "stream_heavy_report",

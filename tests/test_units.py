@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from fanout.functions import hashing as H
 from fanout.functions.params import GridParams, advise, hot_cutoff, linear_stderr, max_window_hours
+from fanout.operators.metrics import throughput
 from fanout.functions.slots import expand_windows, fixed_window
 from fanout.operators import exact as E
 from fanout.operators import grid as G
@@ -125,3 +126,8 @@ def test_slot_reports_go_on_after_a_restart_and_do_not_double(spark, tmp_path):
         L.SlotReporter(p, base)(heavy, 4)
     more = spark.read.parquet(f"{base}/out").filter(F.col("slot") > seen).collect()
     assert [(r["slot"], r["touched"]) for r in more if r["core"] == 1] == [(seen + 1, 9)] and {r["slot"] for r in more} == {seen + 1}
+
+
+def test_published_rate():
+    assert throughput(109_000_000, 1)["published_gb_s"] == 681.25
+    assert throughput(6_250_000, 1)["gb_s"] == 40
