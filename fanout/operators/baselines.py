@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import reduce
+from math import prod
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 from ..functions.hashing import POOL, mixed, rec_hash
 from ..functions.params import ADDRESS_BITS, GridParams, hot_cutoff
 from ..sources.storage import stored
-from .grid import CELL, cells
+from .chains import by_remainders, by_slices, cell_bits
+from .grid import cells
 from .linear import with_estimate
 
 #: Pairwise prime numbers of columns, near 2^14 and near 2^11.
@@ -27,30 +28,13 @@ def crt_scan(df: DataFrame, m: int, moduli: tuple[int, ...] = MODULI, by: tuple[
 def crt_regain(state: DataFrame, m: int, theta: int, moduli: tuple[int, ...] = MODULI, by: tuple[str, ...] = ()) -> DataFrame:
     """(core, touched, est, saturated): hot cells are combined row by row over the bits they share, and end below the cut-off.
 
-    Each hot cell is one row with its bits in 64-bit words, so a pair costs m / 64 operations. Hot cells are at most as many as
-    the row has columns. Values of more than 32 bits are no addresses.
+    Each hot cell is one row of bits. All pairs of rows 0 and 1 are tried; the remainders of a pair leave 2^32 / (p0 p1) addresses,
+    17 with the large primes, so the cells of the further rows follow from these. Values of more than 32 bits are no addresses.
     """
-    cut = F.lit(hot_cutoff(m, theta))
-    hot = cells(state, by).filter(F.col("touched") >= cut).drop("touched")
-    word = state.join(hot, [*by, *CELL]).groupBy(*by, *CELL, F.expr("cast(rec div 64 as int)").alias("at")).agg(F.bit_or(F.expr("shiftleft(1L, cast(rec % 64 as int))")).alias("word"))
-    bits = word.groupBy(*by, *CELL).agg(F.map_from_entries(F.collect_list(F.struct("at", "word"))).alias("m"))
-    bits = stored(bits.select(*by, *CELL, F.transform(F.sequence(F.lit(0), F.lit((m - 1) // 64)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0).cast("long"))).alias("bits")))
-    row = lambda i: bits.filter(F.col("row_id") == i).select(*by, F.col("col_id").alias(f"c{i}"), F.col("bits").alias(f"b{i}"))
-    met = row(0).withColumnRenamed("b0", "bits")
-    for i in range(1, len(moduli)):
-        both = met.join(row(i), [*by]) if by else met.crossJoin(F.broadcast(row(i)))
-        both = both.withColumn("bits", F.zip_with("bits", f"b{i}", lambda a, b: a.bitwiseAND(b))).drop(f"b{i}")
-        met = both.withColumn("touched", F.aggregate("bits", F.lit(0).cast("long"), lambda n, b: n + F.bit_count(b))).filter(F.col("touched") >= cut)
-        if i < len(moduli) - 1:
-            met = met.drop("touched")
-    # the remainders are lifted one modulus at a time, which keeps every product in 63 bits
-    x, step = F.col("c0"), moduli[0]
-    for i, q in enumerate(moduli[1:], 1):
-        inverse = pow(step, -1, q)
-        x = x + F.lit(step) * F.pmod((F.col(f"c{i}") - x % q) * F.lit(inverse), F.lit(q))
-        step *= q
-    out = met.withColumn("core", x.cast("long")).filter(F.col("core") < (1 << ADDRESS_BITS))
-    return with_estimate(out.select(*by, "core", "touched"), m)
+    if prod(moduli) < 1 << ADDRESS_BITS:
+        raise ValueError("the product of the primes has to cover the address")
+    hot = stored(cells(state, by).filter(F.col("touched") >= F.lit(hot_cutoff(m, theta))))
+    return with_estimate(by_remainders(cell_bits(state, hot, m, by), GridParams(m=m, r=len(moduli), theta=theta), moduli, by), m)
 
 
 def slice_scan(df: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFrame:
@@ -64,15 +48,7 @@ def slice_scan(df: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFr
 def slice_regain(state: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFrame:
     """(core, touched, est, saturated) from chains of slices that overlap and share enough bits."""
     hot = stored(cells(state, by).filter(F.col("touched") >= F.lit(p.cutoff)))
-    row = lambda i: hot.filter(F.col("row_id") == i).select(*by, F.col("col_id").alias(f"c{i}"), F.col("col_id").bitwiseAND(F.lit(p.overlap_mask)).alias("_low"))
-    chains = row(1).drop("_low")
-    for i in range(2, p.r):
-        chains = chains.withColumn("_low", F.shiftright(f"c{i - 1}", p.d)).join(row(i), [*by, "_low"]).drop("_low")
-    core = reduce(lambda a, b: a.bitwiseOR(b), (F.shiftleft(f"c{i}", p.shift(i)) for i in range(1, p.r)))
-    chains = chains.withColumn("core", core).filter(F.col("core") < (1 << ADDRESS_BITS))
-    each = chains.select(*by, "core", F.posexplode(F.array(*(f"c{i}" for i in range(1, p.r)))).alias("row_id", "col_id"))
-    met = each.withColumn("row_id", (F.col("row_id") + 1).cast("long")).join(state, [*by, *CELL]).groupBy(*by, "core", "rec").agg(F.count("*").alias("n")).filter(F.col("n") == p.r - 1)
-    return with_estimate(met.groupBy(*by, "core").agg(F.count("*").alias("touched")).filter(F.col("touched") >= F.lit(p.cutoff)), p.m)
+    return with_estimate(by_slices(cell_bits(state, hot, p.m, by), p, by), p.m)
 
 
 def _spot(core, virtual, bits: int):
