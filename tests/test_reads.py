@@ -8,6 +8,7 @@ from fanout.plans import methods, workloads  # noqa: F401  workloads register th
 from fanout.plans import streams  # noqa: F401
 
 NAMES = [
+    "hot_cutoff",
 ]
 
 
