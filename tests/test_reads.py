@@ -10,6 +10,7 @@ from fanout.plans import streams  # noqa: F401
 NAMES = [
     "hot_cutoff",
     "params_advice",
+    "params_valid",
 ]
 
 
