@@ -11,6 +11,7 @@ NAMES = [
     "hot_cutoff",
     "params_advice",
     "params_valid",
+    "rate_formula",
 ]
 
 
