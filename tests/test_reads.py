@@ -12,6 +12,7 @@ NAMES = [
     "params_advice",
     "params_valid",
     "rate_formula",
+    "sketch_empty",
 ]
 
 
