@@ -13,6 +13,7 @@ NAMES = [
     "params_valid",
     "rate_formula",
     "sketch_empty",
+    "stream_rate",
 ]
 
 
