@@ -14,6 +14,7 @@ NAMES = [
     "rate_formula",
     "sketch_empty",
     "stream_rate",
+    "w_pairs_example",
 ]
 
 
