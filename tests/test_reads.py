@@ -13,7 +13,6 @@ NAMES = [
     "params_valid",
     "rate_formula",
     "sketch_empty",
-    "stream_rate",
     "w_pairs_example",
 ]
 
@@ -26,3 +25,9 @@ def test_query_reads_a_table(spark, name, tmp_path):
 
 def test_no_query_without_a_table():
     assert "capability_matrix" not in methods.QUERIES
+
+
+def test_stream_rate_streams_the_events(spark):
+    d = "/root/testdata/sf0.001"
+    slots = {r[0] for r in methods.QUERIES["slots_events"](spark, d).select("slot").collect()}
+    assert {r[0] for r in methods.QUERIES["stream_rate"](spark, d).select("slot").collect()} == slots
