@@ -4,10 +4,15 @@ The tokenizer drops white space before it splits words, so a text cut at white s
 two parts. A chunk's first and last word may be torn; the overlap of two chunks is searched for white
 space at which both encodings have a boundary and after which both give the same tokens. If there is none,
 the overlap is doubled, up to the rest of the text.
+
+The library's own normaliser takes a fifth of the time. Where its rule is NFC, blanks and lower case, texts of characters
+below `PLAIN` are normalised as a whole before, and the same tokenizer without normaliser encodes them.
 """
 
 from __future__ import annotations
 
+import json
+import unicodedata
 from collections.abc import Iterator
 
 import pandas as pd
@@ -17,7 +22,11 @@ from pyspark.sql import functions as F
 from .common import whole
 
 CHUNK, OVERLAP, LIMIT = 65_536, 512, 2_048
+#: Characters whose NFC and lower case all Unicode versions agree in; the rule that is known, as the tokenizer's file has it.
+PLAIN = "\u0590"
+NORMALISER = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]
 _LOADED: dict = {}
+_BARE: dict = {}
 
 
 def tokenizer(path: str):
@@ -35,6 +44,31 @@ def tokenizer(path: str):
     return _LOADED[path]
 
 
+def bare_tokenizer(path: str):
+    """(the same tokenizer without its normaliser, its added tokens in lower case); None where the rule is another or blanks are not dropped by the split."""
+    if path not in _BARE:
+        from tokenizers import Tokenizer
+
+        tok = tokenizer(path)
+        spec = json.loads(tok.to_str())
+        split = ((spec["pre_tokenizer"] or {}).get("pretokenizers") or [{}])[0]
+        _BARE[path] = None
+        if (spec["normalizer"] or {}).get("normalizers") == NORMALISER and split.get("behavior") == "Removed" and split.get("invert") and split["pattern"].get("Regex", "").endswith("|[^\\s\\p{L}\\p{N}]+"):
+            bare = Tokenizer.from_str(json.dumps(spec | {"normalizer": None}))
+            _BARE[path] = bare, [x["content"].lower() for x in spec["added_tokens"]]
+    return _BARE[path]
+
+
+def normalised(text: str, added: list[str]) -> str | None:
+    """What the normaliser makes of a text, but for the kind and number of its blanks; None where it is left to the library."""
+    if not text.isascii():
+        if max(text) >= PLAIN:
+            return None
+        text = unicodedata.normalize("NFC", text).replace("Σ", "σ")  # the library lowers each character by itself
+    text = text.lower()
+    return None if any(a in text for a in added) else text
+
+
 def _encoded(tok, part: str, at: int) -> list[tuple[int, int, int]]:
     """(begin, end, id) of the tokens of a chunk that begins at `at`."""
     e = tok.encode(part, add_special_tokens=False)
@@ -85,22 +119,25 @@ def count_tokens(docs: DataFrame, path: str, limit: int = LIMIT, key: str = "doc
     """
 
     def counts(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        tok = tokenizer(path)
+        whole_rule, bare = tokenizer(path), bare_tokenizer(path)
         for b in batches:
-            n, small, held = [0] * len(b), [], 0
-            texts = b["_text"].tolist()
+            n, small, held = [0] * len(b), {}, 0
 
             def flush():
-                nonlocal small, held
-                for i, e in zip(small, tok.encode_batch_fast([texts[i] for i in small], add_special_tokens=False)):
-                    n[i] = len(e.ids)
-                small, held = [], 0
-
-            for i, t in enumerate(texts):
+                nonlocal held
+                for tok, some in small.values():
+                    for (i, _), e in zip(some, tok.encode_batch_fast([t for _, t in some], add_special_tokens=False)):
+                        n[i] = len(e)
+                small.clear()
+                held = 0
+
+            for i, t in enumerate(b["_text"].tolist()):
+                ready = normalised(t, bare[1]) if bare else None
+                tok, t = (whole_rule, t) if ready is None else (bare[0], ready)
                 if len(t) > chunk:
                     n[i] = chunked_count(tok, t, chunk, overlap)
                     continue
-                small.append(i)
+                small.setdefault(id(tok), (tok, []))[1].append((i, t))
                 held += len(t)
                 if held > 1 << 20:
                     flush()
