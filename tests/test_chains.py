@@ -22,3 +22,13 @@ def test_cells_by_shuffle(spark, monkeypatch):
     sent = sorted(map(tuple, V.regain_sharded(state, p, 2).collect()))
     monkeypatch.setattr(Ch, "BITS_SEND", 0)
     assert sent and sent == sorted(map(tuple, V.regain_sharded(state, p, 2).collect()))
+
+
+def test_rescan_tests_addresses_in_place(spark, monkeypatch):
+    p = GridParams(m=64, w=8, d=3, r=10, theta=20)
+    df = spark.range(2000).selectExpr("(id % 40 + id div 900) * 1640531541 % 4294967296 as core", "id as opp", "id as slot", "id % 2 as router")
+    state = G.scan_grid(df, p)
+    want = sorted(map(tuple, V.query_grid(state, df, p).filter(f"touched >= {p.cutoff}").collect()))
+    monkeypatch.setattr(V, "query_grid", None)  # no join of all addresses with all recorders of their cells
+    assert want and sorted(map(tuple, V.rescan(df, state, p).collect())) == want
+    assert V.rescan(df.limit(0), state, p).count() == 0 and V.rescan(df, state.limit(0), p).count() == 0
