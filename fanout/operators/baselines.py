@@ -11,7 +11,7 @@ from ..functions.hashing import POOL, mixed, rec_hash
 from ..functions.params import ADDRESS_BITS, GridParams, hot_cutoff
 from ..sources.storage import stored
 from .chains import by_remainders, by_slices, cell_bits
-from .grid import cells
+from .grid import cells, packed
 from .linear import with_estimate
 
 #: Pairwise prime numbers of columns, near 2^14 and near 2^11.
@@ -25,6 +25,11 @@ def crt_scan(df: DataFrame, m: int, moduli: tuple[int, ...] = MODULI, by: tuple[
     return each.select(*by, F.col("row_id").cast("long").alias("row_id"), "col_id", "rec").distinct()
 
 
+def crt_words(df: DataFrame, m: int, moduli: tuple[int, ...] = MODULI, by: tuple[str, ...] = ()) -> DataFrame:
+    """As `crt_scan`, with the bits of a cell in words."""
+    return packed(df, m, lambda core: F.array(*(core % q for q in moduli)), by)
+
+
 def crt_regain(state: DataFrame, m: int, theta: int, moduli: tuple[int, ...] = MODULI, by: tuple[str, ...] = ()) -> DataFrame:
     """(core, touched, est, saturated): hot cells are combined row by row over the bits they share, and end below the cut-off.
 
@@ -45,6 +50,12 @@ def slice_scan(df: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFr
     return each.select(*by, (F.col("row_id") + 1).cast("long").alias("row_id"), "col_id", "rec").distinct()
 
 
+def slice_words(df: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFrame:
+    """As `slice_scan`, with the bits of a cell in words."""
+    cut = packed(df, p.m, lambda core: F.array(*(F.shiftright(core, p.shift(i)).bitwiseAND(F.lit(p.mask)) for i in range(1, p.r))), by)
+    return cut.withColumn("row_id", F.col("row_id") + 1)
+
+
 def slice_regain(state: DataFrame, p: GridParams, by: tuple[str, ...] = ()) -> DataFrame:
     """(core, touched, est, saturated) from chains of slices that overlap and share enough bits."""
     hot = stored(cells(state, by).filter(F.col("touched") >= F.lit(p.cutoff)))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from fanout.functions.params import GridParams
+from fanout.operators import baselines as B
 from fanout.operators import chains as Ch
 from fanout.operators import grid as G
 from fanout.operators import recover as V
@@ -32,3 +33,25 @@ def test_rescan_tests_addresses_in_place(spark, monkeypatch):
     monkeypatch.setattr(V, "query_grid", None)  # no join of all addresses with all recorders of their cells
     assert want and sorted(map(tuple, V.rescan(df, state, p).collect())) == want
     assert V.rescan(df.limit(0), state, p).count() == 0 and V.rescan(df, state.limit(0), p).count() == 0
+
+
+def test_words_hold_the_touched_recorders(spark):
+    p = GridParams(m=100, w=8, d=3, r=10, theta=20)
+    df = spark.range(4000).selectExpr("(id % 40) * 1640531541 % 4294967296 as core", "id as opp", "id as slot", "id % 2 as router")
+    state, words = G.scan_grid(df, p, ("router",)), G.scan_words(df, p, ("router",))
+    rows = lambda t: sorted(map(tuple, t.select(sorted(t.columns)).collect()))
+    assert words.count() < state.count() / 10 and rows(words) == rows(G.words_of(state, ("router",)))
+    assert rows(G.hot_cells(words, p, ("router",))) == rows(G.hot_cells(state, p, ("router",)))
+    for rule in ("nearest", "farthest"):
+        merged, one = G.merge_grids(words, rule, 2), G.merge_grids(state, rule, 2)
+        assert rows(merged) == rows(G.words_of(one)) and rows(V.regain_levels(merged, p)) == rows(V.regain_levels(one, p))
+    scans = ((B.crt_scan(df, 64, B.SMALL_MODULI), B.crt_words(df, 64, B.SMALL_MODULI)), (B.slice_scan(df, p), B.slice_words(df, p)))
+    assert all(rows(G.words_of(a)) == rows(b) for a, b in scans)
+
+
+def test_ghosts_by_either_join(spark, monkeypatch):
+    found, df = spark.range(50).selectExpr("id as core", "id as touched"), spark.range(40).selectExpr("id * 2 as core")
+    sent = sorted(map(tuple, V.ghosts(found, df).collect()))
+    assert "BroadcastHashJoin" in V.ghosts(found, df)._jdf.queryExecution().toString() and len(sent) == 25
+    monkeypatch.setattr(V, "CORES_SEND", 0)
+    assert sent == sorted(map(tuple, V.ghosts(found, df).collect()))
