@@ -55,3 +55,13 @@ def test_ghosts_by_either_join(spark, monkeypatch):
     assert "BroadcastHashJoin" in V.ghosts(found, df)._jdf.queryExecution().toString() and len(sent) == 25
     monkeypatch.setattr(V, "CORES_SEND", 0)
     assert sent == sorted(map(tuple, V.ghosts(found, df).collect()))
+
+
+def test_routers_are_merged_without_a_further_exchange(spark):
+    p = GridParams(m=100, w=8, d=3, r=10, theta=20)
+    df = spark.range(4000).selectExpr("(id % 40) * 1640531541 % 4294967296 as core", "id as opp", "id as slot", "id % 4 as router")
+    rows = lambda t: sorted(map(tuple, t.select(sorted(t.columns)).collect()))
+    one = G.scan_merged(df, p)
+    assert rows(one) == rows(G.merge_grids(G.scan_words(df, p, ("router",)))) and one.count() > 0
+    plan = one._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 2, plan  # by address and by cell; before, a third to merge
