@@ -65,3 +65,17 @@ def test_routers_are_merged_without_a_further_exchange(spark):
     assert rows(one) == rows(G.merge_grids(G.scan_words(df, p, ("router",)))) and one.count() > 0
     plan = one._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 2, plan  # by address and by cell; before, a third to merge
+
+
+def test_counts_of_chains_equal_their_list(spark):
+    p = GridParams(m=64, w=8, d=3, r=10)
+    hot = spark.range(10 * 256).filter("hash(id) % 8 = 0").selectExpr("id div 256 as row_id", "id % 256 as col_id")
+    c = V.start_chains(hot, p)
+    want = {2: c.count()}
+    for i in range(3, p.r):
+        c = V.extend_chains(c, hot, i, p)
+        want[i] = c.count()
+    counts = V.chain_counts(hot, p)
+    assert {r["level"]: r["chains"] for r in counts.collect()} == want and want[2] > 0
+    assert "CartesianProduct" not in (plan := counts._jdf.queryExecution().toString()) and "BroadcastNestedLoopJoin" not in plan
+    assert {r["chains"] for r in V.chain_counts(hot.limit(0), p).collect()} == {0}
