@@ -6,6 +6,7 @@ from fanout.functions.params import GridParams
 from fanout.operators import baselines as B
 from fanout.operators import chains as Ch
 from fanout.operators import grid as G
+from fanout.operators import metrics as A
 from fanout.operators import recover as V
 
 
@@ -79,3 +80,18 @@ def test_counts_of_chains_equal_their_list(spark):
     assert {r["level"]: r["chains"] for r in counts.collect()} == want and want[2] > 0
     assert "CartesianProduct" not in (plan := counts._jdf.queryExecution().toString()) and "BroadcastNestedLoopJoin" not in plan
     assert {r["chains"] for r in V.chain_counts(hot.limit(0), p).collect()} == {0}
+
+
+def test_found_are_not_shuffled_for_accuracy(spark, monkeypatch):
+    found = spark.range(3000).selectExpr("id % 3 as win", "id as core").filter("win < 2")
+    truth = spark.range(0, 5000, 7).selectExpr("id % 4 as win", "id as core").unionByName(spark.range(0, 300, 3).selectExpr("0L as win", "id as core").filter("core % 7 != 0"))
+    for by in ((), ("win",)):
+        f, t = (x if by else x.select("core").distinct() for x in (found, truth))
+        rows = lambda: sorted(map(str, A.accuracy(f, t, by).collect()))  # noqa: B023, E731
+        plan = A.accuracy(f, t, by)._jdf.queryExecution().executedPlan().toString()
+        assert "BroadcastHashJoin" in plan and "SortMergeJoin [core" not in plan
+        sent = rows()
+        monkeypatch.setattr(A, "TRUTH_SEND", 0)
+        assert sent and sent == rows()
+        monkeypatch.undo()
+    assert A.accuracy(found, truth.limit(0)).first()["fpr"] is None
