@@ -95,3 +95,18 @@ def test_found_are_not_shuffled_for_accuracy(spark, monkeypatch):
         assert sent and sent == rows()
         monkeypatch.undo()
     assert A.accuracy(found, truth.limit(0)).first()["fpr"] is None
+
+
+def test_sketches_share_the_words_of_addresses(spark, monkeypatch):
+    from fanout.plans import workloads as W
+
+    p = GridParams(m=100, w=8, d=3, r=10, theta=20)
+    df = spark.range(4000).selectExpr("(id % 40) * 1640531541 % 4294967296 as core", "id as opp", "id as slot", "id % 4 as router")
+    rows = lambda t: sorted(map(tuple, t.select(sorted(t.columns)).collect()))
+    own = G.by_address(df, p.m)
+    for scan in (lambda x: G.scan_words(x, p), lambda x: B.crt_words(x, p.m, B.SMALL_MODULI), lambda x: B.slice_words(x, p), lambda x: G.scan_sharded(x, p, 4)):
+        assert rows(scan(own)) == rows(scan(df))
+    made, scan = [], G.by_address
+    monkeypatch.setattr(G, "by_address", lambda *a: made.append(a[1]) or scan(*a))
+    W.detectors(df, p, 1 << 12, 64)
+    assert made == [p.m]  # once for three sketches
